@@ -31,6 +31,13 @@ def checkpointed(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def settled(df: DataFrame) -> DataFrame:
+    """checkpointed(), for narrow tables in loops: the planner also forgets the size estimate, a product over joins that each turn would square."""
+    session = df.sparkSession
+    done = checkpointed(df)._jdf
+    return DataFrame(session._jsparkSession.createDataFrame(done.toJavaRDD(), done.schema()), session)
+
+
 def small_or_shuffled(df: DataFrame, limit: int = BROADCAST_ROWS) -> DataFrame:
     """Mark a checkpointed side for broadcast if its counted rows stay within the limit; else leave it to a shuffle join."""
     return F.broadcast(df) if df.limit(limit + 1).count() <= limit else df.hint("merge")

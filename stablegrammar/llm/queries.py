@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from stablegrammar.llm import bpe, media, quality, secrets, sharding, token_counts
+from stablegrammar.llm import bpe, media, near_dedup, quality, secrets, sharding, token_counts
 from stablegrammar.llm.common import table
 
 
@@ -15,6 +15,10 @@ def op1_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.token_counts(table(spark, sf_dir, "documents"))
 
 
+def op2_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op3_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = media.media_columns(table(spark, sf_dir, "documents"), keep_media=False)
     return out.select("doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", media.feature().alias("feature"))
@@ -44,7 +48,7 @@ def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_counts, op3_media_columns, op4_quality_classifier, op5_sharding, op7_byte_bpe, op10_secret_scan)}
+    return {f.__name__: f for f in (op1_token_counts, op2_near_dedup, op3_media_columns, op4_quality_classifier, op5_sharding, op7_byte_bpe, op10_secret_scan)}
 
 
 def oracle_sql() -> dict[str, str]:
