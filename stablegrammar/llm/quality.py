@@ -9,37 +9,50 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from stablegrammar.llm.common import checkpointed, crc_bucket
 
 #: Bound of the labelled sample that the driver fits on.
-SAMPLE_ROWS = 20_000
-
-
-def statistics(text: Column) -> dict[str, Column]:
-    """Statistics of a whole text; all are defined for empty texts."""
-    n = F.greatest(F.char_length(text), F.lit(1))
-    words = F.split(text, r"\s+", -1)
-    n_words = F.greatest(F.size(words), F.lit(1))
-    share = lambda pattern, of: F.regexp_count(text, F.lit(pattern)) / of
-    return {
-        "log_chars": F.log2(n + F.lit(1.0)),
-        "chars_per_word": n / n_words,
-        "upper": share(r"\p{Lu}", n),
-        "digits": share("[0-9]", n),
-        "marks": share(r"[^\p{L}\p{N}\s.,'-]", n),
-        "marked_words": share(r"[^\p{L}\p{N}\s.,'-](?=\s)", n_words),
-        "sentence_ends": share(r"[.!?](?=\s)", n_words),
-        "repeats": share(r"(?<=\s)(\S+)(?=\s\1\s)", n_words),
-        "lines": share("\n", n_words),
-        "distinct_words": F.size(F.array_distinct(words)) / n_words,
-    }
+SAMPLE_ROWS = 10_000
 
 
+#: Statistics of a whole text, all defined for empty texts.
 FEATURES = ("log_chars", "chars_per_word", "upper", "digits", "marks", "marked_words", "sentence_ends", "repeats", "lines", "distinct_words")
 
+_LETTER, _UPPER, _DIGIT, _PLAIN, _SPACE, _MARK = range(6)
+
+
+def _byte_classes() -> np.ndarray:
+    """Classes of bytes; those beyond ASCII count as letters, and continuation bytes as nothing (class 7)."""
+    out = np.full(256, _LETTER, np.uint8)
+    out[:128] = _MARK
+    for chars, kind in ((b"abcdefghijklmnopqrstuvwxyz", _LETTER), (b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", _UPPER), (b"0123456789", _DIGIT), (b".,'-", _PLAIN), (b" \t\n\r\x0b\x0c", _SPACE)):
+        out[list(chars)] = kind
+    out[0x80:0xC0] = 7
+    return out
+
+
+def text_statistics(text: str, classes: np.ndarray) -> tuple[float, ...]:
+    raw = text.encode()
+    kind = classes[np.frombuffer(raw, np.uint8)]
+    count = np.bincount(kind, minlength=8)
+    words = raw.split()
+    chars, n = max(1, len(text)), max(1, len(words))
+    marked = int(np.count_nonzero((kind[:-1] == _MARK) & (kind[1:] == _SPACE)))
+    repeats = sum(map(bytes.__eq__, words, words[1:]))
+    ends = raw.count(b". ") + raw.count(b"! ") + raw.count(b"? ") + raw.count(b".\n")
+    return (float(np.log2(chars + 1)), chars / n, count[_UPPER] / chars, count[_DIGIT] / chars, count[_MARK] / chars, marked / n, ends / n, repeats / n, raw.count(b"\n") / n, len(set(words)) / n)
+
+
+@F.arrow_udf("struct<" + ", ".join(f"{x}:double" for x in FEATURES) + ">")
+def _statistics(texts: pa.Array) -> pa.Array:
+    classes = _byte_classes()
+    rows = np.array([text_statistics(t.as_py() or "", classes) for t in texts], float).reshape(-1, len(FEATURES))
+    return pa.StructArray.from_arrays([pa.array(np.ascontiguousarray(c)) for c in rows.T], list(FEATURES))
+
 
 @dataclass(frozen=True)
 class Rule:
@@ -51,7 +64,7 @@ class Rule:
     def column(self) -> Column:
         out = None
         for name, above, at in self.terms:
-            term = F.col(name) > at if above else F.col(name) <= at
+            term = F.col(f"_stats.{name}") > at if above else F.col(f"_stats.{name}") <= at
             out = term if out is None else out & term
         return out
 
@@ -88,7 +101,7 @@ def _grow(x: np.ndarray, bins: np.ndarray, edges: list[np.ndarray], g: np.ndarra
         _grow(x, bins, edges, g, h, side, depth - 1, (*path, (names[k], above, at)), names, out, step, least)
 
 
-def tree_rules(x: np.ndarray, y: np.ndarray, names: tuple[str, ...], trees: int = 40, depth: int = 3, rate: float = 0.3, levels: int = 64) -> list[Rule]:
+def tree_rules(x: np.ndarray, y: np.ndarray, names: tuple[str, ...], trees: int = 25, depth: int = 3, rate: float = 0.3, levels: int = 64) -> list[Rule]:
     """Distinct paths of boosted trees, each a conjunction of thresholds."""
     edges = [np.unique(np.quantile(v, np.linspace(0, 1, levels + 1)[1:-1])) for v in x.T]
     bins = np.stack([np.searchsorted(e, v, side="left") for e, v in zip(edges, x.T, strict=True)], 1)
@@ -102,8 +115,8 @@ def tree_rules(x: np.ndarray, y: np.ndarray, names: tuple[str, ...], trees: int
     return [Rule(t) for t in dict.fromkeys(tuple(sorted(p)) for p in paths)]
 
 
-def lasso_logistic(z: np.ndarray, y: np.ndarray, penalty: float, rounds: int = 300) -> tuple[float, np.ndarray]:
-    """Accelerated proximal gradient; the intercept is not penalised."""
+def lasso_logistic(z: np.ndarray, y: np.ndarray, penalty: float, rounds: int = 150) -> tuple[float, np.ndarray]:
+    """Accelerated proximal gradient with labels weighted to balance; the intercept is not penalised."""
     n, k = z.shape
     z1 = np.hstack([np.ones((n, 1)), z])
     v = np.ones(k + 1)
@@ -111,10 +124,12 @@ def lasso_logistic(z: np.ndarray, y: np.ndarray, penalty: float, rounds: int = 3
         v = z1.T @ (z1 @ v)
         v /= np.linalg.norm(v)
     size = 1 / (0.25 * np.linalg.norm(z1 @ v) ** 2 / n + 1e-9)
+    weight = np.where(y > 0.5, 0.5 / max(y.mean(), 1e-9), 0.5 / max(1 - y.mean(), 1e-9))
+    size /= weight.max()
     w = np.zeros(k + 1)
     u, t = w.copy(), 1.0
     for _ in range(rounds):
-        new = u - size * (z1.T @ (1 / (1 + np.exp(-(z1 @ u))) - y)) / n
+        new = u - size * (z1.T @ (weight * (1 / (1 + np.exp(-(z1 @ u))) - y))) / n
         new[1:] = np.sign(new[1:]) * np.maximum(np.abs(new[1:]) - size * penalty, 0)
         t2 = (1 + np.sqrt(1 + 4 * t * t)) / 2
         u, w, t = new + (t - 1) / t2 * (new - w), new, t2
@@ -127,7 +142,7 @@ class RuleEnsemble:
     rules: tuple[Rule, ...]
 
     def score(self) -> Column:
-        """The probability of label 1, over columns that statistics() gives."""
+        """The probability of label 1, over the column `_stats`."""
         total = F.lit(self.intercept)
         for r in self.rules:
             total = total + F.when(r.column(), F.lit(r.weight)).otherwise(F.lit(0.0))
@@ -135,21 +150,22 @@ class RuleEnsemble:
 
 
 def fit_rules(x: np.ndarray, y: np.ndarray, names: tuple[str, ...] = FEATURES) -> RuleEnsemble:
-    """Trees, rules, and lasso weights; the penalty is chosen by log loss on every fifth row. Without both labels: a constant."""
+    """Trees, rules, and lasso weights; the penalty is the largest whose log loss on every fifth row is near the least, and the rules
+    it keeps are fitted again with hardly any. Without both labels: a constant."""
     if len(y) < 20 or y.min() == y.max():
         return RuleEnsemble(float(np.log((y.sum() + 1) / (len(y) - y.sum() + 1))), ())
     test = np.arange(len(y)) % 5 == 0
-    rules = tree_rules(x[~test], y[~test], names)
+    rules = list({r.holds(x, names).tobytes(): r for r in reversed(tree_rules(x[~test], y[~test], names))}.values())[::-1]
     z = np.stack([r.holds(x, names) for r in rules], 1).astype(float)
-    best = None
-    for penalty in (0.003, 0.001, 0.0003, 0.0001):
+    losses, penalties = [], (0.02, 0.01, 0.005, 0.002, 0.001)
+    for penalty in penalties:
         b, w = lasso_logistic(z[~test], y[~test], penalty)
         p = np.clip(1 / (1 + np.exp(-(b + z[test] @ w))), 1e-6, 1 - 1e-6)
-        loss = -np.mean(y[test] * np.log(p) + (1 - y[test]) * np.log(1 - p))
-        if best is None or loss < best[0] - 1e-4:
-            best = (loss, penalty)
-    b, w = lasso_logistic(z, y, best[1], 600)
-    return RuleEnsemble(b, tuple(Rule(r.terms, float(v)) for r, v in zip(rules, w, strict=True) if abs(v) > 1e-4))
+        losses.append(-np.mean(y[test] * np.log(p) + (1 - y[test]) * np.log(1 - p)))
+    chosen = next(p for p, loss in zip(penalties, losses, strict=True) if loss <= 1.1 * min(losses) + 0.002)
+    keep = np.flatnonzero(np.abs(lasso_logistic(z, y, chosen, 300)[1]) > 1e-3)
+    b, w = lasso_logistic(z[:, keep], y, 1e-4, 600)
+    return RuleEnsemble(b, tuple(Rule(rules[k].terms, float(v)) for k, v in zip(keep, w, strict=True) if abs(v) > 1e-4))
 
 
 def held_out(doc_id: Column) -> Column:
@@ -157,7 +173,8 @@ def held_out(doc_id: Column) -> Column:
 
 
 def with_statistics(docs: DataFrame, text_col: str = "text") -> DataFrame:
-    return docs.withColumns(statistics(F.coalesce(F.col(text_col), F.lit(""))))
+    """With a struct column `_stats` of the text's statistics, which one Arrow function computes."""
+    return docs.withColumn("_stats", _statistics(F.col(text_col)))
 
 
 def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> RuleEnsemble:
@@ -165,7 +182,7 @@ def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) ->
     ids = labels.where(F.col("quality").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
     chosen = ids.groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max("quality").alias("_y")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_rows)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(checkpointed(chosen)), "doc_id")  # bounded by sample_rows
-    got = with_statistics(rows).select("doc_id", "_y", *FEATURES).orderBy("doc_id").limit(2 * sample_rows).toPandas()
+    got = with_statistics(rows).select("doc_id", "_y", "_stats.*").orderBy("doc_id").limit(2 * sample_rows).toPandas()
     return fit_rules(got[list(FEATURES)].to_numpy(float), got["_y"].to_numpy(float))
 
 
