@@ -5,22 +5,42 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from stablegrammar.llm import bpe, quality
-from stablegrammar.llm.common import table
+from stablegrammar.llm import bpe, decontamination, near_dedup, pii, quality
+from stablegrammar.llm.common import settled, small_or_shuffled, table
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rows that the rule ensemble doesn't reject; the ensemble is fitted on labelled rows of this stage's input."""
+    """Rows that the rule ensemble, fitted on labelled rows of this stage's input, doesn't reject."""
     model = quality.train(docs, table(spark, sf_dir, "labels"))
     return quality.with_statistics(docs).where(model.score() >= 0.3).select(*docs.columns)
 
 
+def _without(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """Rows whose doc_id isn't among ids; rows with a null id stay."""
+    return docs.join(small_or_shuffled(settled(ids.distinct())), "doc_id", "left_anti")
+
+
+def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each component of near-duplicates stays, the one with the smallest id."""
+    return _without(docs, near_dedup.near_duplicates(docs).where("not kept").select("doc_id"))
+
+
+def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold a benchmark item, as it is or with other values, go."""
+    return _without(docs, decontamination.contamination(docs, table(spark, sf_dir, "benchmark")).select("doc_id"))
+
+
+def replace_private(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Validated numbers, dates and addresses become pseudonyms."""
+    return pii.pseudonymise(docs).withColumn("n_chars", F.length("text").cast("long"))
+
+
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token ids of every text, with digests of the ids and of the bytes that they decode to."""
     return bpe.bpe_round_trip(docs, keep=("ids",))
 
 
-STAGES = [("quality", keep_quality), ("encode", encode)]
+STAGES = [("quality", keep_quality), ("near_dedup", drop_near_duplicates), ("decontamination", drop_contaminated), ("pii", replace_private), ("encode", encode)]
 
 ORACLE_SQL = None
 

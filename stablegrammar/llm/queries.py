@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from stablegrammar.llm import bpe, media, near_dedup, quality, secrets, sharding, token_counts
+from stablegrammar.llm import bpe, decontamination, media, near_dedup, pii, quality, secrets, sharding, spans, token_counts
 from stablegrammar.llm.common import table
 
 
@@ -32,10 +32,24 @@ def op5_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_by_bytes(table(spark, sf_dir, "documents"))
 
 
+def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontamination.contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op7_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.bpe_round_trip(table(spark, sf_dir, "documents"), keep=())
 
 
+def op8_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.pseudonymise(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
+def op9_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = spans.remove_repeated_spans(table(spark, sf_dir, "documents"))
+    code = F.transform("removed", lambda s: F.concat_ws(":", s["start"].cast("string"), s["end"].cast("string")))
+    return out.select("doc_id", "n_sentences", "n_removed", "removed_words", F.array_join(code, ",").alias("removed"), "clean_text")
+
+
 def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = secrets.secret_scan(table(spark, sf_dir, "documents"))
     code = lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))
@@ -48,7 +62,7 @@ def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_counts, op2_near_dedup, op3_media_columns, op4_quality_classifier, op5_sharding, op7_byte_bpe, op10_secret_scan)}
+    return {f.__name__: f for f in (op1_token_counts, op2_near_dedup, op3_media_columns, op4_quality_classifier, op5_sharding, op6_decontamination, op7_byte_bpe, op8_pii, op9_substring_dedup, op10_secret_scan)}
 
 
 def oracle_sql() -> dict[str, str]:
