@@ -32,9 +32,12 @@ def checkpointed(df: DataFrame) -> DataFrame:
 
 
 def settled(df: DataFrame) -> DataFrame:
-    """checkpointed(), for narrow tables in loops: the planner also forgets the size estimate, a product over joins that each turn would square."""
+    """checkpointed(), for narrow tables in loops: the planner also forgets the size estimate, a product over joins that each turn would square.
+
+    A task for each core and more is enough for them: turns of many tiny tasks would leave a small file for every pair of tasks.
+    """
     session = df.sparkSession
-    done = checkpointed(df)._jdf
+    done = checkpointed(df.coalesce(max(8, 4 * session.sparkContext.defaultParallelism)))._jdf
     return DataFrame(session._jsparkSession.createDataFrame(done.toJavaRDD(), done.schema()), session)
 
 

@@ -15,7 +15,7 @@ def components(links: DataFrame) -> DataFrame:
     the links; links within one root go. Both steps are keyed joins of checkpointed tables, whose skewed sides AQE may split.
     """
     e = settled(links.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a < b").distinct())
-    roots = e.select(F.explode(F.array("a", "b")).alias("node")).distinct().select("node", F.col("node").alias("root"))
+    roots = e.select(F.col("a").alias("node")).union(e.select("b")).distinct().select("node", F.col("node").alias("root"))
     while not e.isEmpty():
         up = settled(e.groupBy("b").agg(F.min("a").alias("to")).withColumnRenamed("b", "at"))
         while True:

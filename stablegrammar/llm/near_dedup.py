@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from stablegrammar.llm.common import checkpointed, map_texts, settled, texts
+from stablegrammar.llm.common import checkpointed, map_texts, settled, small_or_shuffled, texts
 from stablegrammar.llm.components import components
 
 BANDS, ROWS = 28, 6
@@ -94,7 +94,7 @@ def may_reach(a: np.ndarray, b: np.ndarray, na: np.ndarray, nb: np.ndarray, leas
 
 
 def sketch(docs: DataFrame, words: int = 5) -> DataFrame:
-    """(doc_id, n, set_key, bands, regs) per row; empty sets have null keys and sketches."""
+    """(doc_id, n, set_key, regs) per row; empty sets have null keys and sketches."""
 
     def kernel(lists: Iterator) -> Iterator[dict]:
         shingles = Shingler(words)
@@ -103,18 +103,30 @@ def sketch(docs: DataFrame, words: int = 5) -> DataFrame:
             sizes = np.array([len(s) for s in sets], np.int64)
             full = np.flatnonzero(sizes)
             keys: list = [None] * len(ids)
-            bands: list = [None] * len(ids)
             regs: list = [None] * len(ids)
             if len(full):
                 flat = np.concatenate(sets)
                 starts = (np.cumsum(sizes) - sizes)[full]
                 r = registers(flat, starts)
                 one, two = np.add.reduceat(_mix(flat + np.uint64(1)), starts), np.bitwise_xor.reduceat(_mix(flat + np.uint64(2)), starts)
-                for i, k, x, y, z in zip(full.tolist(), band_keys(r), one.tolist(), two.tolist(), r, strict=True):
-                    keys[i], bands[i], regs[i] = f"{x:016x}{y:016x}{sizes[i]:x}", k, z.tobytes()
-            yield {"doc_id": ids, "n": sizes.tolist(), "set_key": keys, "bands": bands, "regs": regs}
+                for i, x, y, z in zip(full.tolist(), one.tolist(), two.tolist(), r, strict=True):
+                    keys[i], regs[i] = f"{x:016x}{y:016x}{sizes[i]:x}", z.tobytes()
+            yield {"doc_id": ids, "n": sizes.tolist(), "set_key": keys, "regs": regs}
 
-    return map_texts(docs, kernel, "doc_id long, n long, set_key string, bands array<long>, regs binary")
+    return map_texts(docs, kernel, "doc_id long, n long, set_key string, regs binary")
+
+
+def _banded(reps: DataFrame) -> DataFrame:
+    """(rep, key) for each band of each representative."""
+    import pyarrow as pa
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for x in batches:
+            if x.num_rows:
+                keys = band_keys(np.frombuffer(b"".join(x.column("regs").to_pylist()), np.uint16).reshape(x.num_rows, -1))
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(x.column("rep").to_numpy(), keys.shape[1])), pa.array(keys.ravel())], ["rep", "key"])
+
+    return reps.select("rep", "regs").mapInArrow(kernel, "rep long, key long")
 
 
 def _plausible(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
@@ -150,6 +162,8 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, percent: int, words: int) -> D
                 ok.append(both > 0 and 100 * both >= percent * (len(own) + len(kept[1]) - both))
             yield pa.RecordBatch.from_arrays([x.column("a"), x.column("b")], ["a", "b"]).filter(pa.array(ok, pa.bool_()))
 
+    ids = settled(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct())
+    docs = docs.join(small_or_shuffled(ids), "doc_id")
     side = lambda c: docs.select(F.col("doc_id").alias(c), F.col("text").alias(f"t{c}"))
     return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "ta", "tb").mapInArrow(kernel, "a long, b long")
 
@@ -158,8 +172,8 @@ def _sharing_prefix(reps: DataFrame, docs: DataFrame, percent: int, words: int)
     """Pairs of reps(rep, root) in different components that may link: exact prefix filtering.
 
     With shingles ordered from rare to frequent, linked sets share one of their first n - ceil(n * percent / 100) + 1. Shingles that
-    only one of these documents has fill places of that prefix but need no join. A shared shingle's places bound the overlap from above,
-    which discards most pairs before they are made.
+    only one of these documents has fill places of that prefix but need no join. The prefixes' common shingles, and what can follow
+    the last of them, bound the overlap from above, which discards most pairs before they are made; the first of them makes the pair.
     """
 
     def kernel(lists: Iterator) -> Iterator[dict]:
@@ -167,19 +181,25 @@ def _sharing_prefix(reps: DataFrame, docs: DataFrame, percent: int, words: int)
         for ids, held in lists:
             yield {"rep": ids, "own": [shingles(t).view(np.int64) for t in held]}
 
-    sets = map_texts(docs.join(reps.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").select("doc_id", "text"), kernel, "rep long, own array<long>").where("size(own) > 0")
+    sets = map_texts(docs.join(small_or_shuffled(settled(reps.select(F.col("rep").alias("doc_id")))), "doc_id", "left_semi").select("doc_id", "text"), kernel, "rep long, own array<long>").where("size(own) > 0")
     each = settled(sets.select("rep", F.size("own").cast("long").alias("n"), F.explode("own").alias("shingle")))
     common = settled(each.groupBy("shingle").agg(F.count(F.lit(1)).alias("df")).where("df > 1"))
     mine = each.join(common, "shingle").select("rep", "n", "shingle", "df")
     by_rep = Window.partitionBy("rep", "n")
     ranked = mine.withColumn("at", F.row_number().over(by_rep.orderBy("df", "shingle")) + F.col("n") - F.count(F.lit(1)).over(by_rep))
-    prefix = ranked.where(f"at <= n - cast(ceil(n * {percent} / 100) as long) + 1").select("rep", "n", "shingle", "at")
-    placed = settled(prefix.join(reps, "rep"))
+    prefix = ranked.where(f"at <= n - cast(ceil(n * {percent} / 100) as long) + 1").groupBy("rep", "n").agg(F.array_sort(F.collect_list(F.struct("at", "shingle"))).alias("_p"))
+    prefix = prefix.select("rep", "n", F.col("_p.shingle").alias("p"), (F.col("_p")[0]["at"] - 1).alias("u"))
+    placed = settled(prefix.join(reps, "rep").select("*", F.explode("p").alias("shingle")))
     open_keys = settled(placed.groupBy("shingle").agg(F.min("root").alias("_lo"), F.max("root").alias("_hi")).where("_lo < _hi").select("shingle"))
     rest = settled(placed.join(open_keys, "shingle"))
-    x, y = (rest.select("shingle", F.col("rep").alias(c), F.col("n").alias(f"n{c}"), F.col("at").alias(f"at{c}"), F.col("root").alias(f"_{c}")) for c in "ab")
-    pairs = x.join(y, "shingle").where(f"a < b and _a <> _b and {100 + percent} * least(na - ata + 1, nb - atb + 1) >= {percent} * (na + nb)")
-    return pairs.select("a", "b").distinct()
+    x, y = (rest.select("shingle", F.col("rep").alias(c), F.col("root").alias(f"_{c}"), *(F.col(v).alias(f"{v}{c}") for v in "npu")) for c in "ab")
+    common = F.array_intersect("pa", "pb")
+    last = F.element_at(common, -1)
+    beyond = lambda c: F.col(f"n{c}") - F.col(f"u{c}") - F.array_position(F.col(f"p{c}"), last)
+    reach = F.size(common) + F.least(beyond("a"), beyond("b"))
+    may_link = (F.element_at(common, 1) == F.col("shingle")) & ((100 + percent) * reach >= percent * (F.col("na") + F.col("nb")))
+    sizes = f"a < b and _a <> _b and 100 * least(na, nb) >= {percent} * greatest(na, nb)"
+    return x.join(y, "shingle").where(sizes).where(may_link).select("a", "b")
 
 
 def near_duplicates(docs: DataFrame, *, percent: int = 85, words: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -196,8 +216,8 @@ def near_duplicates(docs: DataFrame, *, percent: int = 85, words: int = 5, id_co
     """
     own = texts(docs, id_col, text_col)
     sketches = checkpointed(sketch(own, words))
-    reps = checkpointed(sketches.where("n > 0 and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("bands").alias("bands"), F.first("regs").alias("regs")))
-    banded = reps.select("rep", F.explode("bands").alias("key"))
+    reps = checkpointed(sketches.where("n > 0 and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("regs").alias("regs")))
+    banded = _banded(reps)
     keys = banded.groupBy("key").agg(F.min("rep").alias("_min"), F.max("rep").alias("_max")).where("_min < _max")
     shared = checkpointed(banded.join(checkpointed(keys.select("key")), "key"))
     links, roots = None, reps.select(F.col("rep").alias("node"), F.col("rep").alias("root"))
