@@ -1,7 +1,7 @@
 """Locally consistent parsing rounds over tables seq(string_id, pos, sym, fp): the DataFrame engine.
 
 A break is a position that starts a run of equal fingerprints between a larger one on its left and a larger one as the first different
-one on its right. That closed form needs neighbours only, so one window sort on (string_id, pos) serves a round.
+one on its right. That closed form needs neighbours only, so window sorts on string_id serve a round.
 """
 
 from __future__ import annotations
@@ -23,14 +23,14 @@ def symbols(strings: DataFrame, family: HashFamily) -> DataFrame:
 
 
 _BY = Window.partitionBy("string_id").orderBy("pos")
-_ON = _BY.rowsBetween(Window.currentRow, Window.unboundedFollowing)
+_BACK = Window.partitionBy("string_id").orderBy(F.desc("pos")).rowsBetween(Window.unboundedPreceding, Window.currentRow)  # linear, unlike a frame to the end
 
 
 def position_types(seq: DataFrame, by: str = "fp") -> DataFrame:
     """seq with type (L, S, or null in the last run) and is_break (S-type after L-type)."""
     step = F.signum(F.lead(by).over(_BY) - F.col(by))
     typed = seq.withColumn("_step", F.when(step != 0, step))
-    typed = typed.withColumn("_next", F.first("_step", ignorenulls=True).over(_ON)).withColumn("_prev", F.lag(by).over(_BY))
+    typed = typed.withColumn("_next", F.last("_step", ignorenulls=True).over(_BACK)).withColumn("_prev", F.lag(by).over(_BY))
     kind = F.when(F.col("_next") > 0, "S").when(F.col("_next") < 0, "L")
     return typed.select(*seq.columns, kind.alias("type"), F.coalesce((F.col("_next") > 0) & (F.col("_prev") > F.col(by)), F.lit(False)).alias("is_break"))
 
