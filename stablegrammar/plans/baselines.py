@@ -150,14 +150,28 @@ def segments(strings: DataFrame, k: int = 8, d: int = 32) -> DataFrame:
 def segment_groups(strings: DataFrame, k: int = 8, d: int = 32) -> DataFrame:
     """Segments with equal keys coded together."""
 
-    def encode(group: pa.Table) -> pa.Table:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
 
-        data = "\n".join(group.column("segment").to_pylist()).encode()
-        return pa.table({"coded": [len(zstandard.ZstdCompressor(level=15, write_content_size=False, write_checksum=False).compress(data))], "plain": [len(data)]})
+        coder = zstandard.ZstdCompressor(level=15, write_content_size=False, write_checksum=False)
+        key, held = None, []
+
+        def flush() -> pa.RecordBatch:
+            data = "\n".join(held).encode()
+            return pa.RecordBatch.from_pydict({"plain": [len(data)], "coded": [len(coder.compress(data))]})
+
+        for x in batches:
+            for a, b, s in zip(*(x.column(i).to_pylist() for i in range(3)), strict=True):
+                if held and (a, b) != key:
+                    yield flush()
+                    held = []
+                key = (a, b)
+                held.append(s)
+        if held:
+            yield flush()
 
-    rows = segments(strings, k, d).groupBy("left", "right").applyInArrow(encode, "coded long, plain long")
-    return rows.agg(F.lit("segment_groups").alias("baseline"), F.sum("plain").alias("plain_bytes"), F.sum("coded").alias("compressed_bytes"))
+    near = segments(strings, k, d).select("left", "right", "segment").repartition("left", "right").sortWithinPartitions("left", "right", "segment")
+    return near.mapInArrow(run, "plain long, coded long").agg(F.lit("segment_groups").alias("baseline"), F.sum("plain").alias("plain_bytes"), F.sum("coded").alias("compressed_bytes"))
 
 
 def digram_grammar(strings: DataFrame) -> DataFrame:
