@@ -91,7 +91,7 @@ def boundaries(cps: np.ndarray, text_starts: np.ndarray, table: np.ndarray, comp
     last = first[1:]  # of each text's last character
     nxt = np.zeros((2, n + 2), cps.dtype)
     nxt[0, : n - 1] = np.where(last[:-1], 0, cps[1:])
-    nxt[1, : n - 2] = np.where(last[:-2] | last[1:-1], 0, cps[2:])
+    nxt[1, : max(0, n - 2)] = np.where(last[:-2] | last[1:-1], 0, cps[2:])
     a, b = nxt[0, :n], nxt[1, :n]
     quote = cps == ord("'")
     short = quote & ((a == ord("s")) | (a == ord("t")) | (a == ord("m")) | (a == ord("d")))

@@ -47,7 +47,7 @@ def permuted_digits(digits: Column, key: str, kind: str) -> Column:
     """A keyed permutation of digit strings of each length: halves are shifted modulo powers of ten."""
     n = F.length(digits)
     h = F.floor(n / 2).cast("int")
-    start = F.struct(F.substr(digits, F.lit(1), h).cast("long").alias("l"), F.substr(digits, h + 1, n).cast("long").alias("r"))
+    start = F.struct(F.substr(digits, F.lit(1), h).try_cast("long").alias("l"), F.substr(digits, h + 1, n).try_cast("long").alias("r"))
     start = F.struct(F.coalesce(start["l"], F.lit(0)).cast("long").alias("l"), F.coalesce(start["r"], F.lit(0)).cast("long").alias("r"))
     size = lambda k: F.pow(F.lit(10), k).cast("long")
     turns = F.array(*(F.lit(i) for i in range(ROUNDS)))

@@ -47,7 +47,6 @@ def text_statistics(text: str, classes: np.ndarray) -> tuple[float, ...]:
     return (float(np.log2(chars + 1)), chars / n, count[_UPPER] / chars, count[_DIGIT] / chars, count[_MARK] / chars, marked / n, ends / n, repeats / n, raw.count(b"\n") / n, len(set(words)) / n)
 
 
-@F.arrow_udf("struct<" + ", ".join(f"{x}:double" for x in FEATURES) + ">")
 def _statistics(texts: pa.Array) -> pa.Array:
     classes = _byte_classes()
     rows = np.array([text_statistics(t.as_py() or "", classes) for t in texts], float).reshape(-1, len(FEATURES))
@@ -174,7 +173,8 @@ def held_out(doc_id: Column) -> Column:
 
 def with_statistics(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """With a struct column `_stats` of the text's statistics, which one Arrow function computes."""
-    return docs.withColumn("_stats", _statistics(F.col(text_col)))
+    kind = "struct<" + ", ".join(f"{x}:double" for x in FEATURES) + ">"
+    return docs.withColumn("_stats", F.arrow_udf(_statistics, kind)(F.col(text_col)))
 
 
 def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> RuleEnsemble:
