@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from stablegrammar.functions.hashing import HashFamily, make_family
 from stablegrammar.operators import parse
-from stablegrammar.operators.lineage import settled
+from stablegrammar.operators.lineage import checkpointed, settled
 from stablegrammar.operators.model import Grammar
 
 SCHEMA = "level int, sym binary, rhs array<binary>, exp_len long, fp long, string_id long"
@@ -158,10 +158,10 @@ def build_grammar(strings: DataFrame, family: HashFamily | None = None, *, engin
         return _build_by_windows(strings, family, breaks or parse.position_types)
     col = "syms" if "syms" in strings.columns else "text"
     rows = strings.select(F.col("string_id").cast("long"), col).mapInArrow(_kernel(family, batch_symbols, breaks or breaks_numpy), SCHEMA)
-    rows = settled(rows) if staged else rows  # read twice below
+    rows = checkpointed(rows) if staged else rows  # read twice below
     rules = rows.where("string_id is null").drop("string_id").dropDuplicates(["level", "sym"]).select("level", "sym", "rhs", F.size("rhs").alias("rhs_len"), "exp_len", "fp")
     roots = rows.where("string_id is not null").select("string_id", F.col("sym").alias("root_sym"), F.col("level").alias("root_level"), F.col("exp_len").alias("n_symbols"))
-    return Grammar(settled(rules) if staged else rules, roots, family)
+    return Grammar(checkpointed(rules) if staged else rules, roots, family)
 
 
 def _build_by_windows(strings: DataFrame, family: HashFamily, breaks: Callable) -> Grammar:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from stablegrammar.operators.lineage import settled
+from stablegrammar.operators.lineage import checkpointed, settled
 from stablegrammar.operators.model import Grammar, char_of
 from stablegrammar.operators.post import as_items
 
@@ -22,9 +22,9 @@ def leaves(g: Grammar, ids: DataFrame | None = None, lo: int | None = None, hi:
     child = g.rules.select("level", "sym", F.posexplode("rhs").alias("_p", "_x"))
     child = child.join(lengths, (F.col("_l") == F.col("_x.level")) & (F.col("_s") == F.col("_x.sym")), "left").withColumn("_e", F.coalesce("exp_len", F.lit(1)))
     sized = child.groupBy("level", "sym").agg(F.array_sort(F.collect_list(F.struct("_p", F.col("_x.level").alias("level"), F.col("_x.sym").alias("sym"), F.col("_x.n").alias("n"), F.col("_e").alias("e")))).alias("kids"))
-    sized = settled(sized.select(F.col("level").alias("_l"), F.col("sym").alias("_s"), "kids"))
+    sized = checkpointed(sized.select(F.col("level").alias("_l"), F.col("sym").alias("_s"), "kids"))
     before = lambda k: F.aggregate(F.slice("kids", F.lit(1), k), F.lit(0).cast("long"), lambda acc, x: acc + x["e"] * x["n"])
-    sized = settled(sized.select("_l", "_s", F.transform("kids", lambda x, k: F.struct(before(k).alias("off"), x["level"].alias("level"), x["sym"].alias("sym"), x["n"].alias("n"), x["e"].alias("e"))).alias("kids")))
+    sized = checkpointed(sized.select("_l", "_s", F.transform("kids", lambda x, k: F.struct(before(k).alias("off"), x["level"].alias("level"), x["sym"].alias("sym"), x["n"].alias("n"), x["e"].alias("e"))).alias("kids")))
     out, front = [], _frontier(g, ids)
     top = g.rules.agg(F.max("level")).first()[0] or 0
     for level in range(top, 0, -1):

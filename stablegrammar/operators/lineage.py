@@ -7,15 +7,21 @@ import tempfile
 from pyspark.sql import DataFrame
 
 
-def settled(df: DataFrame) -> DataFrame:
-    """A checkpoint in spark.checkpoint.dir (set here only where it is unset) whose size estimate the planner forgets.
-
-    Estimates of checkpoints are products over the joins before them, which a loop would square at each turn.
-    """
+def checkpointed(df: DataFrame) -> DataFrame:
+    """A checkpoint in spark.checkpoint.dir, which is set here only where it is unset."""
     session = df.sparkSession
     sc = session.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
         where = session.conf.get("spark.checkpoint.dir", "") or sc.getConf().get("spark.checkpoint.dir", "")
         sc.setCheckpointDir(where or tempfile.mkdtemp(prefix="checkpoints-"))
-    done = df.checkpoint(eager=True)._jdf
+    return df.checkpoint(eager=True)
+
+
+def settled(df: DataFrame) -> DataFrame:
+    """A checkpoint whose size estimate the planner forgets; for narrow tables, since rows are converted on the way.
+
+    Estimates of checkpoints are products over the joins before them, which a loop that joins its own results would square at each turn.
+    """
+    session = df.sparkSession
+    done = checkpointed(df)._jdf
     return DataFrame(session._jsparkSession.createDataFrame(done.toJavaRDD(), done.schema()), session)

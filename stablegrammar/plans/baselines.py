@@ -53,15 +53,16 @@ def deflate(strings: DataFrame, level: int = 6, chunk_bytes: int = 64 << 20) ->
     return _coded(strings, "deflate", lambda data: len(zlib.compress(data, level)), chunk_bytes)
 
 
-def similarity_key(text, words: int = 3):
-    """The smallest hash of a text's word triples: similar texts often share it."""
-    w = F.split(text, r"\s+")
-    return F.array_min(F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - words + 1, F.lit(1))), lambda i: F.xxhash64(F.slice(w, i, words))))
+def similarity_key(strings: DataFrame, words: int = 3) -> DataFrame:
+    """With `_k`, the smallest hash of a text's word triples: similar texts often share it."""
+    split = strings.withColumn("_w", F.split("text", r"\s+"))
+    triples = F.transform(F.sequence(F.lit(1), F.greatest(F.size("_w") - words + 1, F.lit(1))), lambda i: F.xxhash64(F.slice("_w", i, words)))
+    return split.withColumn("_k", F.array_min(triples)).drop("_w")
 
 
 def reorder_then_lz(strings: DataFrame, **options) -> DataFrame:
     """Similar strings next to each other, then the window-bounded coder."""
-    ordered = strings.withColumn("_k", similarity_key(F.col("text"))).repartitionByRange("_k").sortWithinPartitions("_k", "text")
+    ordered = similarity_key(strings).repartitionByRange("_k").sortWithinPartitions("_k", "text")
     return lz_codec(ordered.select("text"), **options).withColumn("baseline", F.lit("reorder_then_lz"))
 
 
@@ -114,10 +115,14 @@ def pair_replacement(strings: DataFrame, max_rules: int | None = None) -> DataFr
 
 def window_phrases(strings: DataFrame, w: int = 6, d: int = 16) -> DataFrame:
     """(string_id, no, phrase) of prefix-free parsing: phrases end with a w-gram whose digest is 0 modulo d, and overlap by w."""
-    n = F.length("text")
-    places = F.filter(F.sequence(F.lit(1), F.greatest(n - w, F.lit(1))), lambda i: (i <= n - w) & (F.conv(F.substring(F.md5(F.substr(F.col("text"), i, F.lit(w))), 1, 8), 16, 10).cast("long") % d == 0))
-    cut = strings.select("string_id", "text", F.concat(F.filter(places, lambda i: i > 1), F.array(F.greatest(n - w + 1, F.lit(1)))).alias("_end"))
-    parts = F.transform("_end", lambda e, k: F.substr(F.col("text"), F.when(k == 0, F.lit(1)).otherwise(F.get("_end", k - 1)), e + w - F.when(k == 0, F.lit(1)).otherwise(F.get("_end", k - 1))))
+    chars = strings.select("string_id", F.split("text", "").alias("_c"))
+    n = F.size("_c")
+    gram = lambda i: F.array_join(F.slice("_c", i, w), "")
+    hit = lambda i: F.conv(F.substring(F.md5(gram(i)), 1, 8), 16, 10).cast("long") % d == 0
+    inner = F.filter(F.sequence(F.lit(2), F.greatest(n - w, F.lit(2))), lambda i: (i <= n - w) & hit(i))
+    cut = chars.withColumn("_end", F.concat(inner, F.array(F.greatest(n - w + 1, F.lit(1)))))
+    begin = lambda k: F.when(k == 0, F.lit(1)).otherwise(F.get("_end", k - 1))
+    parts = F.transform("_end", lambda e, k: F.array_join(F.slice("_c", begin(k), e + w - begin(k)), ""))
     return cut.select("string_id", F.posexplode(parts).alias("no", "phrase"))
 
 

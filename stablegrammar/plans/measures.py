@@ -64,7 +64,8 @@ def string_complexity(strings: DataFrame, ks: tuple[int, ...] = (1, 2, 4, 8, 16)
     """k, distinct k-grams of the whole collection, and their number over k; the largest quotient is the string complexity."""
     parts = None
     for k in ks:
-        one = strings.where(F.length("text") >= k).select(F.explode(F.transform(F.sequence(F.lit(1), F.length("text") - k + 1), lambda i: F.substr(F.col("text"), i, F.lit(k)))).alias("g"))  # noqa: B023
+        chars = strings.where(F.length("text") >= k).select(F.split("text", "").alias("c"))
+        one = chars.select(F.explode(F.transform(F.sequence(F.lit(1), F.size("c") - k + 1), lambda i: F.array_join(F.slice("c", i, k), ""))).alias("g"))  # noqa: B023
         one = one.distinct().agg(F.lit(k).alias("k"), F.count(F.lit(1)).alias("distinct_grams"))
         parts = one if parts is None else parts.unionByName(one)
     return parts.withColumn("per_k", F.round(F.col("distinct_grams") / F.col("k"), 6))
@@ -72,7 +73,9 @@ def string_complexity(strings: DataFrame, ks: tuple[int, ...] = (1, 2, 4, 8, 16)
 
 def empirical_entropy(strings: DataFrame, k: int) -> DataFrame:
     """Bits per symbol given the k characters before it."""
-    seq = strings.where(F.length("text") > k).select(F.explode(F.transform(F.sequence(F.lit(1), F.length("text") - k), lambda i: F.struct(F.substr(F.col("text"), i, F.lit(k)).alias("ctx"), F.substr(F.col("text"), i + k, F.lit(1)).alias("ch")))).alias("x"))
+    chars = strings.where(F.length("text") > k).select(F.split("text", "").alias("c"))
+    gram = lambda i: F.struct(F.array_join(F.slice("c", i, k), "").alias("ctx"), F.get("c", i + k - 1).alias("ch"))
+    seq = chars.select(F.explode(F.transform(F.sequence(F.lit(1), F.size("c") - k), gram)).alias("x"))
     counts = seq.groupBy("x.ctx", "x.ch").agg(F.count(F.lit(1)).alias("n"))
     by = counts.groupBy("ctx").agg(F.sum("n").alias("n_ctx"), F.sum(F.col("n") * F.log2("n")).alias("nl"))
     return by.agg(F.lit(k).alias("k"), F.sum("n_ctx").alias("n"), F.round(F.sum(F.col("n_ctx") * F.log2("n_ctx") - F.col("nl")) / F.sum("n_ctx"), 6).alias("entropy"))
