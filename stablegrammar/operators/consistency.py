@@ -119,3 +119,34 @@ def symbol_jaccard(g: Grammar, level: int, least: float = 0.2, most_strings: int
     pairs = x.select("sym", F.col("string_id").alias("a")).join(x.select("sym", F.col("string_id").alias("b")), "sym").where("a < b").groupBy("a", "b").agg(F.count(F.lit(1)).alias("both"))
     side = lambda c: size.select(F.col("string_id").alias(c), F.col("n").alias(f"n{c}"))
     return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", F.round(F.col("both") / (F.col("na") + F.col("nb") - F.col("both")), 6).alias("jaccard")).where(F.col("jaccard") >= least)
+
+
+def consistency_radius(strings: DataFrame, patterns: DataFrame, family: HashFamily) -> DataFrame:
+    """(pattern_id, round, occurrences, differing): phrase borders inside a pattern that not all of its occurrences share.
+
+    patterns(pattern_id, pattern): a small list, broadcast as literals of at most 10,000 rows. Only strings that hold a pattern are parsed.
+    """
+    import pyarrow as pa
+
+    from stablegrammar.sources.sql import parse_rounds_of
+
+    hit = strings.join(F.broadcast(patterns.limit(10_000)), F.instr(F.col("text"), F.col("pattern")) > 0).select("pattern_id", "string_id", "pattern", "text")
+
+    def run(batches):
+        for x in batches:
+            out: dict[str, list] = {"pattern_id": [], "place": [], "round": [], "at": []}
+            for pid, sid, p, t in zip(*(x.column(i).to_pylist() for i in range(4)), strict=True):
+                rounds = [(r, s - 1) for r, _, s, _, _ in parse_rounds_of(t, family)]
+                at = t.find(p)
+                while at >= 0:
+                    for r, s in rounds:
+                        if at < s < at + len(p):
+                            for k, v in zip(out, (pid, f"{sid}:{at}", r, s - at), strict=True):
+                                out[k].append(v)
+                    at = t.find(p, at + 1)
+            yield pa.RecordBatch.from_pydict(out, schema=pa.schema([("pattern_id", pa.int64()), ("place", pa.string()), ("round", pa.int32()), ("at", pa.int64())]))
+
+    borders = hit.select(F.col("pattern_id").cast("long"), F.col("string_id").cast("string"), "pattern", "text").mapInArrow(run, "pattern_id long, place string, round int, at long")
+    n = borders.groupBy("pattern_id").agg(F.count_distinct("place").alias("occurrences"))
+    per = borders.groupBy("pattern_id", "round", "at").agg(F.count_distinct("place").alias("c"))
+    return per.join(n, "pattern_id").groupBy("pattern_id", "round", "occurrences").agg(F.sum((F.col("c") < F.col("occurrences")).cast("long")).alias("differing"))

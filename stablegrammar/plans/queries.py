@@ -532,3 +532,32 @@ def tumbling_window_sequences(spark, sf_dir):
 def session_window_sequences(spark, sf_dir):
     seq = window_sequences(spark.read.parquet(f"{sf_dir}/events.parquet"), _types(spark, sf_dir), gap="30 minutes")
     return seq.groupBy(F.col("user_id").cast("long").alias("user_id"), "n").agg(F.count(F.lit(1)).alias("sessions"))
+
+
+@query()
+def consistency_radius(spark, sf_dir):
+    passages = spark.read.parquet(f"{sf_dir}/benchmark.parquet").select(F.col("item_id").alias("pattern_id"), F.col("text").alias("pattern"))
+    both = workloads.documents(spark, sf_dir).unionByName(workloads.benchmark(spark, sf_dir).withColumn("string_id", -1 - F.col("string_id")))
+    return consistency.consistency_radius(both, passages, FAMILY)
+
+
+@query()
+def symbol_jaccard(spark, sf_dir):
+    return consistency.symbol_jaccard(build_grammar(workloads.documents(spark, sf_dir)), 3)
+
+
+@query()
+def value_order_first_round(spark, sf_dir):
+    """Ablation: distinct phrases of the first round with types by symbol value instead of by fingerprint."""
+    marked = parse.value_order_breaks(parse.symbols(workloads.documents(spark, sf_dir), FAMILY))
+    phrases = parse.cut_phrases(marked, 1, FAMILY)
+    return phrases.agg(F.count(F.lit(1)).alias("phrases"), F.count_distinct("sym").alias("distinct_phrases"), F.max("len").alias("longest"))
+
+
+@query()
+def wide_fingerprints(spark, sf_dir):
+    """61-bit fingerprints of whole passages."""
+    from stablegrammar.functions.hashing import wide_fingerprint
+
+    codes = F.transform(F.split("text", ""), lambda c: F.ascii(c).cast("long"))
+    return workloads.benchmark(spark, sf_dir).select("string_id", wide_fingerprint(codes).alias("fp"))
