@@ -21,9 +21,15 @@ _LANES = ((_U(0x9E3779B97F4A7C15), _U(0xD6E8FEB86659FD93)), (_U(0xC2B2AE3D27D4EB
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
-    x = (x ^ (x >> _U(32))) * _U(0xD6E8FEB86659FD93)
-    x = (x ^ (x >> _U(32))) * _U(0xD6E8FEB86659FD93)
-    return x ^ (x >> _U(32))
+    y = x >> _U(32)
+    y ^= x
+    y *= _U(0xD6E8FEB86659FD93)
+    z = y >> _U(32)
+    y ^= z
+    y *= _U(0xD6E8FEB86659FD93)
+    np.right_shift(y, _U(32), out=z)
+    y ^= z
+    return y
 
 
 def breaks_numpy(fps: np.ndarray, starts: np.ndarray) -> np.ndarray:
@@ -104,11 +110,11 @@ def build_strings(ids: np.ndarray, codes: np.ndarray, sizes: np.ndarray, family:
         lanes = []
         for salt, factor in _LANES:
             power = np.cumprod(np.full(longest, factor, _U)) if longest < 1 << 16 else np.multiply.accumulate(np.full(longest, factor, _U))
-            t = np.add.reduceat(_mix(lo ^ _mix(hi + salt)) * power[offset], at)
+            t = np.add.reduceat(_mix(lo ^ (hi * factor + salt)) * power[offset], at)
             lanes.append(_mix(t ^ _mix(length.astype(_U) * factor + np.array([level], _U) * salt)))
         next_exp = np.add.reduceat(exp, at)
         next_fp = (total * h.a + h.b) % h.p % h.m
-        order = np.lexsort((lanes[1], lanes[0])) if len(at) < 64 else np.argsort(lanes[0], kind="stable")
+        order = np.lexsort((lanes[1], lanes[0])) if len(at) < 64 else np.argsort(lanes[0])  # a tie there may repeat a rule, which the merge drops
         a, b = lanes[0][order], lanes[1][order]
         new = np.ones(len(order), bool)
         new[1:] = (a[1:] != a[:-1]) | (b[1:] != b[:-1])
