@@ -41,8 +41,8 @@ def contamination(docs: DataFrame, benchmark: DataFrame, *, window: int = WINDOW
 
     A pair counts if at least `least_share` of the item's distinct windows of `window` template words occur in the document and most of
     the windows found have consistent values. Windows that are placeholders by half or more are not looked for. Items of fewer words
-    are one window of their own length, from 4 words on. Benchmark windows are broadcast if a count shows that they are few, else
-    joined by shuffle. Null and empty texts match nothing; rows with a null id of either side are left out; repeated rows count once;
+    are one window of their own length, from 4 words on. Hashes of benchmark windows, and ids of documents that hold one, are
+    broadcast if a count shows that they are few, else joined by shuffle. Null and empty texts match nothing; rows with a null id of either side are left out; repeated rows count once;
     other columns are ignored; empty tables give an empty result.
     """
     items = benchmark.where("item_id is not null and text is not null").select("item_id", _only_words(F.col("text")).alias("_t")).distinct()
@@ -63,10 +63,11 @@ def contamination(docs: DataFrame, benchmark: DataFrame, *, window: int = WINDOW
     placed = lambda k: F.transform(_windows(F.col("_w"), k), lambda h, i: F.struct(h.alias("_h"), i.alias("_at"), F.lit(k).alias("_k")))
     hashed = words.select("doc_id", F.concat(*(placed(k) for k in sizes)).alias("_all")).select("doc_id", F.explode_outer("_all").alias("_x")).select("doc_id", "_x.*")
     at = settled(hashed.join(keys, "_h").groupBy("doc_id").agg(F.collect_set(F.struct("_h", "_at", "_k")).alias("_found")))  # of one document: as many as its windows
-    found = plain.join(small_or_shuffled(at), "doc_id").select("doc_id", F.split("_t", " ").alias("_raw"), F.explode("_found").alias("_x"))
+    hit = plain.join(small_or_shuffled(settled(at.select("doc_id"))), "doc_id", "left_semi")  # ids alone may be broadcast
+    found = hit.join(at.hint("merge"), "doc_id").select("doc_id", F.split("_t", " ").alias("_raw"), F.explode("_found").alias("_x"))
     found = checkpointed(found.select("doc_id", "_x._h", F.slice("_raw", F.col("_x._at") + 1, F.col("_x._k")).alias("_own")).distinct())
 
-    hits = found.join(small_or_shuffled(bench.select("_h", "item_id", "_win", "_values")), "_h")
+    hits = found.join(small_or_shuffled(bench.select("_h", "item_id", "_win", "_values"), 50_000), "_h")
     pair = F.arrays_zip(F.col("_win"), F.col("_values"), F.col("_own"))
     pair = F.filter(pair, lambda x: x["_win"].rlike("[\x01-\x03]"))
     bare = lambda s: F.regexp_replace(s, r"^[^\p{L}\p{N}]+|[^\p{L}\p{N}]+$", "")
