@@ -2,7 +2,8 @@
 
 Numbers, names and units become typed placeholders, so that a question whose values were changed keeps its template. Windows of
 template words are hash-joined with the benchmark's; the values that the placeholders stand for must then agree between an item and a
-document, equal values with equal values, in both directions.
+document, equal values with equal values, in both directions. Windows of plain lower-case words stand beside them: case tells names
+from words, so a copy whose letter case was changed has another template.
 """
 
 from __future__ import annotations
@@ -13,6 +14,8 @@ from pyspark.sql import functions as F
 from stablegrammar.llm.common import checkpointed, settled, small_or_shuffled
 
 WINDOW = 8
+#: Second argument of the hashes of plain windows.
+_PLAIN = "plain"
 #: Words of units that may follow a number.
 UNITS = "mm|cm|m|km|mg|g|kg|t|ml|l|s|ms|min|h|hours?|minutes?|seconds?|days?|weeks?|months?|years?|miles?|feet|inch(?:es)?|pounds?|dollars?|euros?|percent|mph|kmh|usd|eur"
 
@@ -30,44 +33,54 @@ def template(plain: Column) -> Column:
     return F.lower(F.regexp_replace(names, r"[^\p{L}\p{N}\s\x01-\x03]+", ""))
 
 
-def _windows(words: Column, size: int) -> Column:
-    """Hashes of all runs of `size` words; a place is an array index."""
+def plain_words(plain: Column) -> Column:
+    """Lower-case words of a text from _only_words, without placeholders; of marks only those between digits stay."""
+    return F.lower(F.regexp_replace(plain, r"(?<![0-9])[^\p{L}\p{N}\s]+|[^\p{L}\p{N}\s]+(?![0-9])", ""))
+
+
+def _windows(words: Column, size: int, *kind: Column) -> Column:
+    """Hashes of all runs of `size` words; a place is an array index. `kind` keeps hashes of plain words apart."""
     count = F.greatest(F.size(words) - size + 1, F.lit(0))
-    return F.when(count > 0, F.transform(F.sequence(F.lit(1), F.greatest(count, F.lit(1))), lambda i: F.xxhash64(F.slice(words, i, size)))).otherwise(F.array().cast("array<long>"))
+    return F.when(count > 0, F.transform(F.sequence(F.lit(1), F.greatest(count, F.lit(1))), lambda i: F.xxhash64(F.slice(words, i, size), *kind))).otherwise(F.array().cast("array<long>"))
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, *, window: int = WINDOW, least_share: float = 0.5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, item_id, n_windows (of the item, found), item_windows, exact (whether all values are the item's): contaminated pairs only.
 
     A pair counts if at least `least_share` of the item's distinct windows of `window` template words occur in the document and most of
-    the windows found have consistent values. Windows that are placeholders by half or more are not looked for. Items of fewer words
+    the windows found have consistent values, or if that share of its windows of plain lower-case words occurs; the figures are then of
+    plain windows. Template windows that are placeholders by half or more are not looked for. Items of fewer words
     are one window of their own length, from 4 words on. Hashes of benchmark windows, and ids of documents that hold one, are
     broadcast if a count shows that they are few, else joined by shuffle. Null and empty texts match nothing; rows with a null id of either side are left out; repeated rows count once;
     other columns are ignored; empty tables give an empty result.
     """
     items = benchmark.where("item_id is not null and text is not null").select("item_id", _only_words(F.col("text")).alias("_t")).distinct()
-    items = items.select("item_id", F.split("_t", " ").alias("_raw"), F.split(template(F.col("_t")), " ").alias("_w")).where("size(_w) >= 4")
+    items = items.select("item_id", F.split("_t", " ").alias("_raw"), F.split(template(F.col("_t")), " ").alias("_w"), F.split(plain_words(F.col("_t")), " ").alias("_p")).where("size(_w) >= 4")
     size = F.least(F.size("_w"), F.lit(window))
-    pos = items.select("item_id", "_raw", "_w", size.alias("_k"), F.explode(F.sequence(F.lit(1), F.size("_w") - size + 1)).alias("_at"))
+    pos = items.select("item_id", "_raw", "_w", "_p", size.alias("_k"), F.explode(F.sequence(F.lit(1), F.size("_w") - size + 1)).alias("_at"))
     slots = lambda words: F.size(F.filter(words, lambda w: w.rlike("[\x01-\x03]")))
+    literal = pos.select("item_id", "_k", F.slice("_p", F.col("_at"), F.col("_k")).alias("_win"))
+    literal = literal.select("item_id", F.lit(True).alias("_plain"), "_k", F.xxhash64("_win", F.lit(_PLAIN)).alias("_h"), *(F.array().cast("array<string>").alias(c) for c in ("_win", "_values")))
     bench = pos.select("item_id", "_k", F.slice("_w", F.col("_at"), F.col("_k")).alias("_win"), F.slice("_raw", F.col("_at"), F.col("_k")).alias("_values"))
-    bench = bench.where(2 * slots(F.col("_win")) < F.col("_k")).select("item_id", "_k", F.xxhash64("_win").alias("_h"), "_win", "_values")
-    bench = checkpointed(bench.dropDuplicates(["item_id", "_h"]))
-    sizes = sorted(r[0] for r in bench.select("_k").distinct().collect())  # at most `window` numbers
+    bench = bench.where(2 * slots(F.col("_win")) < F.col("_k")).select("item_id", F.lit(False).alias("_plain"), "_k", F.xxhash64("_win").alias("_h"), "_win", "_values")
+    bench = checkpointed(bench.unionByName(literal).dropDuplicates(["item_id", "_h"]))
+    sizes = sorted((r[0], r[1]) for r in bench.select("_plain", "_k").distinct().collect())  # at most `window` numbers of each kind
     if not sizes:
-        sizes = [window]
+        sizes = [(False, window)]
     keys = small_or_shuffled(settled(bench.select("_h").distinct()))
 
     plain = docs.where(F.col(id_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), _only_words(F.col(text_col)).alias("_t"))
-    words = plain.select("doc_id", F.split(template(F.col("_t")), " ").alias("_w"))
-    placed = lambda k: F.transform(_windows(F.col("_w"), k), lambda h, i: F.struct(h.alias("_h"), i.alias("_at"), F.lit(k).alias("_k")))
-    hashed = words.select("doc_id", F.concat(*(placed(k) for k in sizes)).alias("_all")).select("doc_id", F.explode_outer("_all").alias("_x")).select("doc_id", "_x.*")
+    words = plain.select("doc_id", F.split(template(F.col("_t")), " ").alias("_w"), F.split(plain_words(F.col("_t")), " ").alias("_p"))
+    of = lambda literal, k: _windows(F.col("_p"), k, F.lit(_PLAIN)) if literal else _windows(F.col("_w"), k)
+    # plain windows have no values to compare: of length 0
+    placed = lambda literal, k: F.transform(of(literal, k), lambda h, i: F.struct(h.alias("_h"), i.alias("_at"), F.lit(0 if literal else k).alias("_k")))
+    hashed = words.select("doc_id", F.concat(*(placed(*x) for x in sizes)).alias("_all")).select("doc_id", F.explode_outer("_all").alias("_x")).select("doc_id", "_x.*")
     at = settled(hashed.join(keys, "_h").groupBy("doc_id").agg(F.collect_set(F.struct("_h", "_at", "_k")).alias("_found")))  # of one document: as many as its windows
     hit = plain.join(small_or_shuffled(settled(at.select("doc_id"))), "doc_id", "left_semi")  # ids alone may be broadcast
     found = hit.join(at.hint("merge"), "doc_id").select("doc_id", F.split("_t", " ").alias("_raw"), F.explode("_found").alias("_x"))
     found = checkpointed(found.select("doc_id", "_x._h", F.slice("_raw", F.col("_x._at") + 1, F.col("_x._k")).alias("_own")).distinct())
 
-    hits = found.join(small_or_shuffled(bench.select("_h", "item_id", "_win", "_values"), 50_000), "_h")
+    hits = found.join(small_or_shuffled(bench.select("_h", "item_id", "_plain", "_win", "_values"), 50_000), "_h")
     pair = F.arrays_zip(F.col("_win"), F.col("_values"), F.col("_own"))
     pair = F.filter(pair, lambda x: x["_win"].rlike("[\x01-\x03]"))
     bare = lambda s: F.regexp_replace(s, r"^[^\p{L}\p{N}]+|[^\p{L}\p{N}]+$", "")
@@ -75,7 +88,9 @@ def contamination(docs: DataFrame, benchmark: DataFrame, *, window: int = WINDOW
     distinct = lambda k: F.size(F.array_distinct(F.transform(one, lambda x: x[k])))
     consistent = (distinct("v") == F.size(one)) & (distinct("o") == F.size(one))
     same = F.forall(one, lambda x: x["v"] == x["o"])
-    seen = hits.select("doc_id", "item_id", "_h", consistent.alias("_ok"), same.alias("_same")).groupBy("doc_id", "item_id", "_h").agg(F.max("_ok").alias("_ok"), F.max("_same").alias("_same"))
-    pairs = seen.groupBy("doc_id", "item_id").agg(F.count(F.lit(1)).alias("n_windows"), F.sum(F.col("_ok").cast("long")).alias("_ok"), F.min("_same").alias("exact"))
-    totals = bench.groupBy("item_id").agg(F.count(F.lit(1)).alias("item_windows"))
-    return pairs.join(small_or_shuffled(settled(totals)), "item_id").where((F.col("n_windows") >= least_share * F.col("item_windows")) & (2 * F.col("_ok") > F.col("n_windows"))).select("doc_id", "item_id", "n_windows", "item_windows", "exact")
+    seen = hits.select("doc_id", "item_id", "_plain", "_h", consistent.alias("_ok"), same.alias("_same")).groupBy("doc_id", "item_id", "_plain", "_h").agg(F.max("_ok").alias("_ok"), F.max("_same").alias("_same"))
+    pairs = seen.groupBy("doc_id", "item_id", "_plain").agg(F.count(F.lit(1)).alias("n_windows"), F.sum(F.col("_ok").cast("long")).alias("_ok"), F.min("_same").alias("exact"))
+    totals = bench.groupBy("item_id", "_plain").agg(F.count(F.lit(1)).alias("item_windows"))
+    pairs = pairs.join(small_or_shuffled(settled(totals)), ["item_id", "_plain"]).where((F.col("n_windows") >= least_share * F.col("item_windows")) & (2 * F.col("_ok") > F.col("n_windows")))
+    figures = F.min_by(F.struct("n_windows", "item_windows", "exact"), "_plain").alias("_x")  # of template windows where they suffice
+    return pairs.groupBy("doc_id", "item_id").agg(figures).select("doc_id", "item_id", "_x.*")

@@ -233,6 +233,14 @@ def test_decontamination(spark, odd, none):
     assert decontamination.contamination(docs, bench.limit(0)).isEmpty()
 
 
+def test_decontamination_without_case(spark):
+    item = "In March the Captain Of the Green Harbour met Anna Lind And nine Sailors From Bergen near the old stone Bridge"
+    bench = spark.createDataFrame([(1, item)], "item_id long, text string")
+    docs = spark.createDataFrame([(1, f"{prose(1, 30)} {item.upper()}. {prose(2, 30)}"), (2, f"{prose(3, 30)} {item.lower()}. {prose(4, 30)}"), (3, prose(5, 90).upper()), (4, item)], "doc_id long, text string")
+    got = {r["doc_id"]: (r["exact"], r["n_windows"] <= r["item_windows"]) for r in decontamination.contamination(docs, bench).collect()}
+    assert got == {1: (True, True), 2: (True, True), 4: (True, True)}
+
+
 def luhn(s):
     return sum(d if i % 2 == 0 else d * 2 - 9 * (d > 4) for i, d in enumerate(int(c) for c in reversed(s))) % 10 == 0
 
