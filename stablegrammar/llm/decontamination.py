@@ -14,6 +14,8 @@ from pyspark.sql import functions as F
 from stablegrammar.llm.common import checkpointed, settled, small_or_shuffled
 
 WINDOW = 8
+#: So many plain words in a row count, whatever their share of the item.
+EXACT_RUN = 13
 #: Second argument of the hashes of plain windows.
 _PLAIN = "plain"
 #: Words of units that may follow a number.
@@ -26,10 +28,13 @@ def _only_words(text: Column) -> Column:
 
 
 def template(plain: Column) -> Column:
-    """Lower-case template words of a text from _only_words; white space is kept, so that places agree with the text's own words."""
+    """Lower-case template words of a text from _only_words; white space is kept, so that places agree with the text's own words.
+
+    A capitalised word is a name at a text's start too, as it is there in the middle of another text.
+    """
     units = F.regexp_replace(plain, rf"(?<=\d)( ?)(?i:{UNITS})(?![\p{{L}}\p{{N}}])", "$1\u0001")
     numbers = F.regexp_replace(units, r"\d+(?:[.,:/]\d+)*", "\u0002")
-    names = F.regexp_replace(numbers, r"\p{Lu}(?<=[\p{L}\p{N},;:\x01\x02] \p{Lu})[\p{L}'-]*", "\u0003")
+    names = F.regexp_replace(numbers, r"\p{Lu}(?<=(?:^|[\p{L}\p{N},;:\x01\x02] )[^\p{L}\p{N}\s\x01-\x03]{0,2}\p{Lu})[\p{L}'-]*", "\u0003")
     return F.lower(F.regexp_replace(names, r"[^\p{L}\p{N}\s\x01-\x03]+", ""))
 
 
@@ -44,25 +49,27 @@ def _windows(words: Column, size: int, *kind: Column) -> Column:
     return F.when(count > 0, F.transform(F.sequence(F.lit(1), F.greatest(count, F.lit(1))), lambda i: F.xxhash64(F.slice(words, i, size), *kind))).otherwise(F.array().cast("array<long>"))
 
 
-def contamination(docs: DataFrame, benchmark: DataFrame, *, window: int = WINDOW, least_share: float = 0.5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def contamination(docs: DataFrame, benchmark: DataFrame, *, window: int = WINDOW, least_share: float = 0.5, exact_run: int = EXACT_RUN, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, item_id, n_windows (of the item, found), item_windows, exact (whether all values are the item's): contaminated pairs only.
 
     A pair counts if at least `least_share` of the item's distinct windows of `window` template words occur in the document and most of
-    the windows found have consistent values, or if that share of its windows of plain lower-case words occurs; the figures are then of
-    plain windows. Template windows that are placeholders by half or more are not looked for. Items of fewer words
-    are one window of their own length, from 4 words on. Hashes of benchmark windows, and ids of documents that hold one, are
+    the windows found have consistent values, or if that share of its windows of plain lower-case words occurs, or as many of them as
+    a run of `exact_run` words has; the figures are then of plain windows. Template windows that are placeholders by half or more are
+    looked for as plain windows only. Items of fewer words are one window of their own length, which is a template from 4 words on
+    and plain words at any length. Hashes of benchmark windows, and ids of documents that hold one, are
     broadcast if a count shows that they are few, else joined by shuffle. Null and empty texts match nothing; rows with a null id of either side are left out; repeated rows count once;
     other columns are ignored; empty tables give an empty result.
     """
-    items = benchmark.where("item_id is not null and text is not null").select("item_id", _only_words(F.col("text")).alias("_t")).distinct()
-    items = items.select("item_id", F.split("_t", " ").alias("_raw"), F.split(template(F.col("_t")), " ").alias("_w"), F.split(plain_words(F.col("_t")), " ").alias("_p")).where("size(_w) >= 4")
+    items = benchmark.where("item_id is not null and text is not null").select("item_id", _only_words(F.col("text")).alias("_t")).where("_t <> ''").distinct()
+    items = items.select("item_id", F.split("_t", " ").alias("_raw"), F.split(template(F.col("_t")), " ").alias("_w"), F.split(plain_words(F.col("_t")), " ").alias("_p"))
     size = F.least(F.size("_w"), F.lit(window))
     pos = items.select("item_id", "_raw", "_w", "_p", size.alias("_k"), F.explode(F.sequence(F.lit(1), F.size("_w") - size + 1)).alias("_at"))
     slots = lambda words: F.size(F.filter(words, lambda w: w.rlike("[\x01-\x03]")))
     literal = pos.select("item_id", "_k", F.slice("_p", F.col("_at"), F.col("_k")).alias("_win"))
-    literal = literal.select("item_id", F.lit(True).alias("_plain"), "_k", F.xxhash64("_win", F.lit(_PLAIN)).alias("_h"), *(F.array().cast("array<string>").alias(c) for c in ("_win", "_values")))
+    literal = literal.groupBy("item_id", "_k", F.xxhash64("_win", F.lit(_PLAIN)).alias("_h")).agg(F.count(F.lit(1)).alias("_n"))
+    literal = literal.select("item_id", F.lit(True).alias("_plain"), "_k", "_n", "_h", *(F.array().cast("array<string>").alias(c) for c in ("_win", "_values")))
     bench = pos.select("item_id", "_k", F.slice("_w", F.col("_at"), F.col("_k")).alias("_win"), F.slice("_raw", F.col("_at"), F.col("_k")).alias("_values"))
-    bench = bench.where(2 * slots(F.col("_win")) < F.col("_k")).select("item_id", F.lit(False).alias("_plain"), "_k", F.xxhash64("_win").alias("_h"), "_win", "_values")
+    bench = bench.where("_k >= 4").where(2 * slots(F.col("_win")) < F.col("_k")).select("item_id", F.lit(False).alias("_plain"), "_k", F.lit(1).cast("long").alias("_n"), F.xxhash64("_win").alias("_h"), "_win", "_values")
     bench = checkpointed(bench.unionByName(literal).dropDuplicates(["item_id", "_h"]))
     sizes = sorted((r[0], r[1]) for r in bench.select("_plain", "_k").distinct().collect())  # at most `window` numbers of each kind
     if not sizes:
@@ -80,7 +87,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, *, window: int = WINDOW
     found = hit.join(at.hint("merge"), "doc_id").select("doc_id", F.split("_t", " ").alias("_raw"), F.explode("_found").alias("_x"))
     found = checkpointed(found.select("doc_id", "_x._h", F.slice("_raw", F.col("_x._at") + 1, F.col("_x._k")).alias("_own")).distinct())
 
-    hits = found.join(small_or_shuffled(bench.select("_h", "item_id", "_plain", "_win", "_values"), 50_000), "_h")
+    hits = found.join(small_or_shuffled(bench.select("_h", "item_id", "_plain", "_n", "_win", "_values"), 50_000), "_h")
     pair = F.arrays_zip(F.col("_win"), F.col("_values"), F.col("_own"))
     pair = F.filter(pair, lambda x: x["_win"].rlike("[\x01-\x03]"))
     bare = lambda s: F.regexp_replace(s, r"^[^\p{L}\p{N}]+|[^\p{L}\p{N}]+$", "")
@@ -88,9 +95,9 @@ def contamination(docs: DataFrame, benchmark: DataFrame, *, window: int = WINDOW
     distinct = lambda k: F.size(F.array_distinct(F.transform(one, lambda x: x[k])))
     consistent = (distinct("v") == F.size(one)) & (distinct("o") == F.size(one))
     same = F.forall(one, lambda x: x["v"] == x["o"])
-    seen = hits.select("doc_id", "item_id", "_plain", "_h", consistent.alias("_ok"), same.alias("_same")).groupBy("doc_id", "item_id", "_plain", "_h").agg(F.max("_ok").alias("_ok"), F.max("_same").alias("_same"))
-    pairs = seen.groupBy("doc_id", "item_id", "_plain").agg(F.count(F.lit(1)).alias("n_windows"), F.sum(F.col("_ok").cast("long")).alias("_ok"), F.min("_same").alias("exact"))
+    seen = hits.select("doc_id", "item_id", "_plain", "_n", "_h", consistent.alias("_ok"), same.alias("_same")).groupBy("doc_id", "item_id", "_plain", "_h").agg(F.max("_ok").alias("_ok"), F.max("_same").alias("_same"), F.max("_n").alias("_n"))
+    pairs = seen.groupBy("doc_id", "item_id", "_plain").agg(F.count(F.lit(1)).alias("n_windows"), F.sum(F.col("_ok").cast("long")).alias("_ok"), F.sum("_n").alias("_places"), F.min("_same").alias("exact"))
     totals = bench.groupBy("item_id", "_plain").agg(F.count(F.lit(1)).alias("item_windows"))
-    pairs = pairs.join(small_or_shuffled(settled(totals)), ["item_id", "_plain"]).where((F.col("n_windows") >= least_share * F.col("item_windows")) & (2 * F.col("_ok") > F.col("n_windows")))
+    pairs = pairs.join(small_or_shuffled(settled(totals)), ["item_id", "_plain"]).where(((F.col("n_windows") >= least_share * F.col("item_windows")) | (F.col("_plain") & (F.col("_places") >= max(1, exact_run - window + 1)))) & (2 * F.col("_ok") > F.col("n_windows")))
     figures = F.min_by(F.struct("n_windows", "item_windows", "exact"), "_plain").alias("_x")  # of template windows where they suffice
     return pairs.groupBy("doc_id", "item_id").agg(figures).select("doc_id", "item_id", "_x.*")

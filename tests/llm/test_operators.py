@@ -241,6 +241,16 @@ def test_decontamination_without_case(spark):
     assert got == {1: (True, True), 2: (True, True), 4: (True, True)}
 
 
+def test_decontamination_of_any_item(spark):
+    sums, capital, two, long = "Compute 12 + 35 * 7 - 4 and 9", "What is the capital of France?", "Quokka Zanzibar", prose(70, 80)
+    bench = spark.createDataFrame([(1, sums), (2, capital), (3, two), (4, long), (5, "***")], "item_id long, text string")
+    part = " ".join(long.split()[30:50])
+    inside = [sums, capital, two, part, capital.replace("France", "Spain"), sums.replace("35", "36"), " ".join(long.split()[30:42]), f'"{capital.replace("France", "Peru")}"']
+    docs = spark.createDataFrame([(i, f"{prose(10 + i, 30)} {t} {prose(20 + i, 30)}") for i, t in enumerate(inside)] + [(90, "***"), (91, "")], "doc_id long, text string")
+    got = {(r["doc_id"], r["item_id"]): r["exact"] for r in decontamination.contamination(docs, bench).collect()}
+    assert got == {(0, 1): True, (1, 2): True, (2, 3): True, (3, 4): True, (4, 2): False, (7, 2): False}
+
+
 def luhn(s):
     return sum(d if i % 2 == 0 else d * 2 - 9 * (d > 4) for i, d in enumerate(int(c) for c in reversed(s))) % 10 == 0
 
