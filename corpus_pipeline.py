@@ -21,8 +21,8 @@ def _without(docs: DataFrame, ids: DataFrame) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each component of near-duplicates stays, the one with the smallest id."""
-    return _without(docs, near_dedup.near_duplicates(docs).where("not kept").select("doc_id"))
+    """One document of each component of near-duplicates stays, the one with the smallest id: five-word shingles, similarity 0.8 or more."""
+    return _without(docs, near_dedup.near_duplicates(docs, percent=80).where("not kept").select("doc_id"))
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
