@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
+from zlib import crc32
 
 import xxhash
 from pyspark.sql import DataFrame
@@ -12,18 +13,37 @@ from pyspark.sql import functions as F
 from stablegrammar.llm.common import checkpointed, map_texts, settled, texts
 
 _END = re.compile(r"[.!?]+(?=\s)\s*|\n+\s*")
-_WORD = re.compile(r"\S+\s*")
-#: A sentence of more words counts as several, cut after every so many.
+_WORD = re.compile(r"\S+")
+#: A sentence of more words counts as several parts of at most so many, cut where its words say so.
 LONG = 16
 
 
+def _cuts(words: list[str]) -> list[int]:
+    """Word numbers before which a long sentence is cut: the last least hash of two neighbouring words in each LONG - 1 places in a row.
+
+    They depend on the words near by alone, so the parts of a passage agree again after at most so many words, whatever stands before it.
+    Runs of one repeated word, where no place differs from the next, are cut after every LONG words.
+    """
+    hashes = [crc32(f"{x} {y}".encode("utf-8", "surrogatepass")) for x, y in zip(words, [*words[1:], ""], strict=True)]
+    out, last, at = [], 0, 0
+    for end in range(1, len(words)):
+        if at <= end - LONG + 1:  # the least one has left: the last least one of what remains
+            at = min(range(end, end - LONG + 1, -1), key=hashes.__getitem__)
+        elif hashes[end] <= hashes[at] or at == 0:
+            at = end
+        if end >= LONG - 1 and at > last and (hashes[at] != hashes[at - 1] or at - last >= LONG):
+            out.append(at)
+            last = at
+    return out
+
+
 def sentences(text: str) -> list[tuple[int, int]]:
-    """Half-open code-point ranges that tile the text: sentences with the white space after them; long ones in parts of LONG words."""
+    """Half-open code-point ranges that tile the text: sentences with the white space after them; long ones in parts of up to LONG words."""
     out, a = [], 0
     for b in [*(m.end() for m in _END.finditer(text)), len(text)]:
         if b > a:
-            words = _WORD.finditer(text, a, b) if b - a > 2 * LONG else ()
-            cuts = [m.start() for k, m in enumerate(words) if k and k % LONG == 0]
+            words = list(_WORD.finditer(text, a, b)) if b - a > 2 * LONG else ()
+            cuts = [words[k].start() for k in _cuts([m.group() for m in words])] if len(words) > LONG else []
             out += zip([a, *cuts], [*cuts, b], strict=True)
         a = max(a, b)
     return out
@@ -55,7 +75,7 @@ def sentence_runs(docs: DataFrame, run: int) -> DataFrame:
 def remove_repeated_spans(docs: DataFrame, *, run: int = 2, least_words: int = 20, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_sentences, n_removed, removed_words, removed (array of half-open code-point ranges), clean_text, for every row.
 
-    Every run of `run` consecutive sentences (parts of 16 words where a sentence is long) is hashed and joined globally; the first place by
+    Every run of `run` consecutive sentences (parts of up to 16 words, cut by content, where a sentence is long) is hashed and joined globally; the first place by
     (doc_id, position) keeps it, and the sentences of all other places go, if the removed stretch they form has at least `least_words`
     words. Counts come before the join, with partial sums, and only hashes of several places are joined back, a hot one being left to
     the skew join. Null and empty texts are unchanged (clean text empty); rows with a null id neither remove nor lose anything; rows that
