@@ -171,7 +171,9 @@ def adjacent_collisions(spark, sf_dir):
 def _parts_by(spark, sf_dir, col: str):
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     values = sorted(r[0] for r in docs.select(col).distinct().limit(64).collect() if r[0] is not None)
-    return [build_grammar(docs.where(F.col(col) == v).select(F.col("doc_id").alias("string_id"), "text")) for v in values]
+    rest = F.col(col).isNull() | ~F.col(col).isin(values)  # null, and any value beyond, in one part
+    parts = [docs.where(F.col(col) == v) for v in values] + [docs.where(rest)]
+    return [build_grammar(part.select(F.col("doc_id").alias("string_id"), "text")) for part in parts]
 
 
 @query(_STATS)

@@ -148,3 +148,11 @@ def test_empty_table(spark):
     g = build_grammar(spark.createDataFrame([], "string_id long, text string"))
     assert g.rules.isEmpty() and g.roots.isEmpty() and expand.expand(g).isEmpty()
     assert post.inline_singletons(post.run_length(g)).rules.isEmpty()
+
+
+def test_merge_by_lang_takes_null_languages(spark, tmp_path):
+    from stablegrammar.plans import queries
+
+    spark.createDataFrame([(1, "the cat sat on the mat", "en"), (2, "no language was given to this one", None)], "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    roots = [r["string_id"] for g in queries._parts_by(spark, str(tmp_path), "lang") for r in g.roots.collect()]
+    assert sorted(roots) == [1, 2]
