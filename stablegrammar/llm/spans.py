@@ -10,7 +10,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stablegrammar.llm.common import checkpointed, map_texts, settled, texts
+from stablegrammar.llm.common import map_texts, settled, texts
 
 _END = re.compile(r"[.!?]+(?=\s)\s*|\n+\s*")
 _WORD = re.compile(r"\S+")
@@ -53,66 +53,91 @@ def _words(text: str, a: int, b: int) -> str:
     return " ".join(text[a:b].split())
 
 
+def _run_hashes(parts: list[str], run: int) -> list[tuple[int, int]]:
+    """128 bits, as two signed longs, of every run of `run` consecutive parts."""
+    out = []
+    for k in range(len(parts) - run + 1):
+        h = xxhash.xxh3_128_intdigest("\n".join(parts[k : k + run]))
+        hi, lo = h >> 64, h & 0xFFFFFFFFFFFFFFFF
+        out.append((hi - (hi >> 63 << 64), lo - (lo >> 63 << 64)))
+    return out
+
+
 def sentence_runs(docs: DataFrame, run: int) -> DataFrame:
-    """(hash, doc_id, at) of every run of `run` consecutive sentences; `at` numbers the run's first sentence; white space doesn't count."""
+    """(hi, lo, doc_id, at) of every run of `run` consecutive sentences; `at` numbers the run's first sentence; white space doesn't count."""
 
     def kernel(lists: Iterator) -> Iterator[dict]:
-        digest = xxhash.xxh3_64_intdigest
         for ids, held in lists:
-            out: dict[str, list] = {"hash": [], "doc_id": [], "at": []}
+            out: dict[str, list] = {"hi": [], "lo": [], "doc_id": [], "at": []}
             for i, t in zip(ids, held, strict=True):
-                s = [_words(t, a, b) for a, b in sentences(t)]
-                for k in range(len(s) - run + 1):
-                    h = digest("\n".join(s[k : k + run]))
-                    out["hash"].append(h - (h >> 63 << 64))
-                out["at"] += range(max(0, len(s) - run + 1))
-                out["doc_id"] += [i] * max(0, len(s) - run + 1)
+                hashes = _run_hashes([_words(t, a, b) for a, b in sentences(t)], run)
+                out["hi"] += [h for h, _ in hashes]
+                out["lo"] += [h for _, h in hashes]
+                out["at"] += range(len(hashes))
+                out["doc_id"] += [i] * len(hashes)
             yield out
 
-    return map_texts(docs, kernel, "hash long, doc_id long, at int")
+    return map_texts(docs, kernel, "hi long, lo long, doc_id long, at int")
+
+
+def _stretches(places: list[int]) -> list[list[int]]:
+    """Sorted sentence numbers in groups of consecutive ones."""
+    out: list[list[int]] = []
+    for k in places:
+        if out and out[-1][-1] == k - 1:
+            out[-1].append(k)
+        else:
+            out.append([k])
+    return out
 
 
-def remove_repeated_spans(docs: DataFrame, *, run: int = 2, least_words: int = 20, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def _without_repeats(text: str, marks: list[dict], run: int, least_words: int) -> tuple[int, int, int, list[dict], str]:
+    """(sentences, removed ones, their words, removed ranges, text that stays) for marks(at, lo) of repeated runs.
+
+    A mark holds only where the text's own run has its hash: rows that share an id but not the text don't lose each other's places.
+    """
+    s = sentences(text)
+    hashes = _run_hashes([_words(text, a, b) for a, b in s], run) if marks else []
+    starts = [m["at"] for m in marks if m["at"] < len(hashes) and hashes[m["at"]][1] == m["lo"]]
+    cut, words, n = [], 0, 0
+    for group in _stretches(sorted({k + d for k in starts for d in range(run)})):
+        a, b = s[group[0]][0], s[group[-1]][1]
+        if (w := len(text[a:b].split())) >= least_words:
+            cut.append((a, b))
+            words += w
+            n += len(group)
+    kept = "".join(text[a:b] for a, b in zip([0, *(b for _, b in cut)], [*(a for a, _ in cut), len(text)], strict=True))
+    return len(s), n, words, [{"start": a, "end": b} for a, b in cut], kept
+
+
+def remove_repeated_spans(docs: DataFrame, *, run: int = 2, least_words: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_sentences, n_removed, removed_words, removed (array of half-open code-point ranges), clean_text, for every row.
 
-    Every run of `run` consecutive sentences (parts of up to 16 words, cut by content, where a sentence is long) is hashed and joined globally; the first place by
-    (doc_id, position) keeps it, and the sentences of all other places go, if the removed stretch they form has at least `least_words`
-    words. Counts come before the join, with partial sums, and only hashes of several places are joined back, a hot one being left to
-    the skew join. Null and empty texts are unchanged (clean text empty); rows with a null id neither remove nor lose anything; rows that
-    share an id count as one document at each position. Other columns are ignored; an empty table gives an empty result.
+    Every run of `run` consecutive sentences (parts of up to 16 words, cut by content, where a sentence is long) is hashed to 128 bits
+    and joined globally; the first place by (doc_id, position) keeps it, and the sentences of all other places go. `least_words` is an
+    option: then only removed stretches of so many words go. Counts come before the join, with partial sums, and only hashes of several
+    places are joined back, a hot one being left to the skew join. Null and empty texts are unchanged (clean text empty); texts of any
+    length are cut whole; rows with a null id neither remove nor lose anything; rows that share an id count as one document, whose equal
+    runs at one position are one place, and each loses what its own text repeats. Other columns are ignored; an empty table gives an
+    empty result.
     """
     own = texts(docs, id_col, text_col)
     runs = sentence_runs(own.where("doc_id is not null"), run)
-    first = runs.groupBy("hash").agg(F.min("doc_id").alias("_doc"), F.max("doc_id").alias("_last"), F.min("at").alias("_lo"), F.max("at").alias("_hi")).where("_doc < _last or _lo < _hi").select("hash", "_doc")
-    repeated = checkpointed(runs.join(settled(first), "hash"))
-    keeper = repeated.where("doc_id = _doc").groupBy("hash").agg(F.min("at").alias("_at"))
-    later = repeated.join(settled(keeper), "hash").where("doc_id <> _doc or at > _at").groupBy("doc_id").agg(F.collect_set("at").alias("starts"))
-    marked = own.join(settled(later), "doc_id", "left").select("doc_id", "text", "starts")
+    places = runs.groupBy("hi", "lo").agg(F.min("doc_id").alias("_doc"), F.max("doc_id").alias("_last"), F.min("at").alias("_lo"), F.max("at").alias("_hi"))
+    first = places.where("_doc < _last or _lo < _hi").select("hi", "lo", "_doc")
+    repeated = settled(runs.join(settled(first), ["hi", "lo"]))
+    keeper = repeated.where("doc_id = _doc").groupBy("hi", "lo").agg(F.min("at").alias("_at"))
+    later = repeated.join(settled(keeper), ["hi", "lo"]).where("doc_id <> _doc or at > _at")
+    marks = later.groupBy("doc_id").agg(F.collect_set(F.struct("at", "lo")).alias("marks"))  # of one document: as many as its runs
+    marked = own.join(settled(marks), "doc_id", "left").select("doc_id", "text", "marks")
 
     def kernel(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
+        kinds = {"n_sentences": pa.int32(), "n_removed": pa.int32(), "removed_words": pa.int64(), "removed": pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())])), "clean_text": pa.string()}
         for x in batches:
-            out: dict[str, list] = {k: [] for k in ("n_sentences", "n_removed", "removed_words", "removed", "clean_text")}
-            for t, starts in zip(x.column("text"), x.column("starts"), strict=True):
-                t, s = t.as_py(), sentences(t.as_py())
-                gone = sorted({k + d for k in starts.as_py() or () for d in range(run)})
-                stretches: list[list[int]] = []
-                for k in gone:
-                    if stretches and stretches[-1][-1] == k - 1:
-                        stretches[-1].append(k)
-                    else:
-                        stretches.append([k])
-                cut, words, n = [], 0, 0
-                for group in stretches:
-                    a, b = s[group[0]][0], s[group[-1]][1]
-                    if (w := len(t[a:b].split())) >= least_words:
-                        cut.append((a, b))
-                        words += w
-                        n += len(group)
-                kept = "".join(t[a:b] for a, b in zip([0, *(b for _, b in cut)], [*(a for a, _ in cut), len(t)], strict=True))
-                for column, v in zip(out.values(), (len(s), n, words, [{"start": a, "end": b} for a, b in cut], kept), strict=True):
-                    column.append(v)
-            yield pa.RecordBatch.from_arrays([x.column("doc_id"), pa.array(out["n_sentences"], pa.int32()), pa.array(out["n_removed"], pa.int32()), pa.array(out["removed_words"], pa.int64()), pa.array(out["removed"], pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))), pa.array(out["clean_text"], pa.string())], ["doc_id", *out])
+            rows = [_without_repeats(t.as_py(), m.as_py() or [], run, least_words) for t, m in zip(x.column("text"), x.column("marks"), strict=True)]
+            columns = [pa.array([r[k] for r in rows], kind) for k, kind in enumerate(kinds.values())]
+            yield pa.RecordBatch.from_arrays([x.column("doc_id"), *columns], ["doc_id", *kinds])
 
     return marked.mapInArrow(kernel, "doc_id long, n_sentences int, n_removed int, removed_words long, removed array<struct<start:int,end:int>>, clean_text string")
