@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from stablegrammar.llm.common import checkpointed, settled, small_or_shuffled
+from stablegrammar.llm.common import settled, small_or_shuffled
 
 WINDOW = 8
 #: So many plain words in a row count, whatever their share of the item.
@@ -49,28 +49,52 @@ def _windows(words: Column, size: int, *kind: Column) -> Column:
     return F.when(count > 0, F.transform(F.sequence(F.lit(1), F.greatest(count, F.lit(1))), lambda i: F.xxhash64(F.slice(words, i, size), *kind))).otherwise(F.array().cast("array<long>"))
 
 
+def _consistent(pairs: DataFrame, found: DataFrame, places: DataFrame, least_share: float) -> DataFrame:
+    """(doc_id, item_id, exact) of pairs whose values agree jointly, over all windows of one copy of the item.
+
+    A copy's windows lie at nearly one shift between document and item. Shifts are gathered in cells of 2 * WINDOW, in two gridings, so that
+    a copy with a few words put in falls into one cell; there each place of the item takes the document's place whose shift is nearest to
+    the commonest one. Equal values must then stand for equal values over all these places, in both directions.
+    """
+    bare = lambda s: F.regexp_replace(s, r"^[^\p{L}\p{N}]+|[^\p{L}\p{N}]+$", "")
+    own = F.arrays_zip(F.col("_win"), F.col("_values"), F.col("_own"))
+    slots = F.transform(F.filter(own, lambda x: x["_win"].rlike("[\x01-\x03]")), lambda x: F.struct(bare(x["_values"]).alias("v"), bare(x["_own"]).alias("o")))
+    met = found.join(places.select("item_id", "_h", F.col("_at").alias("_p"), "_win", "_values"), "_h").join(pairs.select("doc_id", "item_id", "item_windows"), ["doc_id", "item_id"])
+    met = met.select("doc_id", "item_id", "item_windows", "_h", "_p", (F.col("_at") - F.col("_p")).alias("_shift"), slots.alias("_slots"))
+    cells = F.array(*(F.struct(F.lit(g).alias("g"), F.floor((F.col("_shift") + g * WINDOW) / F.lit(2 * WINDOW)).alias("c")) for g in (0, 1)))
+    met = met.withColumn("_cell", F.explode(cells))
+    by = ["doc_id", "item_id", "_cell"]
+    main = met.groupBy(*by, "_shift").agg(F.count_distinct("_p").alias("_c")).groupBy(*by).agg(F.max_by("_shift", F.struct("_c", -F.col("_shift"))).alias("_main"))
+    near = F.struct(F.abs(F.col("_shift") - F.col("_main")), F.col("_shift"))
+    placed = met.join(main, by).groupBy(*by, "item_windows", "_p").agg(F.min_by("_slots", near).alias("_slots"), F.min_by("_h", near).alias("_h"))
+    cell = placed.groupBy(*by, "item_windows").agg(F.count_distinct("_h").alias("_n"), F.array_distinct(F.flatten(F.collect_set("_slots"))).alias("_one"))  # bounded by the item
+    distinct = lambda k: F.size(F.array_distinct(F.transform("_one", lambda x: x[k])))
+    agree = (distinct("v") == F.size("_one")) & (distinct("o") == F.size("_one")) & (F.col("_n") >= least_share * F.col("item_windows"))
+    return cell.where(agree).groupBy("doc_id", "item_id").agg(F.max(F.forall("_one", lambda x: x["v"] == x["o"])).alias("exact"))
+
+
 def contamination(docs: DataFrame, benchmark: DataFrame, *, window: int = WINDOW, least_share: float = 0.5, exact_run: int = EXACT_RUN, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, item_id, n_windows (of the item, found), item_windows, exact (whether all values are the item's): contaminated pairs only.
 
-    A pair counts if at least `least_share` of the item's distinct windows of `window` template words occur in the document and most of
-    the windows found have consistent values, or if that share of its windows of plain lower-case words occurs, or as many of them as
+    A pair counts if at least `least_share` of the item's distinct windows of `window` template words occur in one place of the document
+    and the values of all of them agree jointly, or if that share of its windows of plain lower-case words occurs, or as many of them as
     a run of `exact_run` words has; the figures are then of plain windows. Template windows that are placeholders by half or more are
     looked for as plain windows only. Items of fewer words are one window of their own length, which is a template from 4 words on
     and plain words at any length. Hashes of benchmark windows, and ids of documents that hold one, are
-    broadcast if a count shows that they are few, else joined by shuffle. Null and empty texts match nothing; rows with a null id of either side are left out; repeated rows count once;
-    other columns are ignored; empty tables give an empty result.
+    broadcast if a count shows that they are few, else joined by shuffle. Null and empty texts match nothing; rows with a null id of either side are left out; repeated rows count once; rows that share an id count as one document;
+    texts of any length are searched whole; other columns are ignored; empty tables give an empty result.
     """
     items = benchmark.where("item_id is not null and text is not null").select("item_id", _only_words(F.col("text")).alias("_t")).where("_t <> ''").distinct()
     items = items.select("item_id", F.split("_t", " ").alias("_raw"), F.split(template(F.col("_t")), " ").alias("_w"), F.split(plain_words(F.col("_t")), " ").alias("_p"))
     size = F.least(F.size("_w"), F.lit(window))
     pos = items.select("item_id", "_raw", "_w", "_p", size.alias("_k"), F.explode(F.sequence(F.lit(1), F.size("_w") - size + 1)).alias("_at"))
-    slots = lambda words: F.size(F.filter(words, lambda w: w.rlike("[\x01-\x03]")))
+    placeholders = F.size(F.filter("_win", lambda w: w.rlike("[\x01-\x03]")))
     literal = pos.select("item_id", "_k", F.slice("_p", F.col("_at"), F.col("_k")).alias("_win"))
-    literal = literal.groupBy("item_id", "_k", F.xxhash64("_win", F.lit(_PLAIN)).alias("_h")).agg(F.count(F.lit(1)).alias("_n"))
-    literal = literal.select("item_id", F.lit(True).alias("_plain"), "_k", "_n", "_h", *(F.array().cast("array<string>").alias(c) for c in ("_win", "_values")))
-    bench = pos.select("item_id", "_k", F.slice("_w", F.col("_at"), F.col("_k")).alias("_win"), F.slice("_raw", F.col("_at"), F.col("_k")).alias("_values"))
-    bench = bench.where("_k >= 4").where(2 * slots(F.col("_win")) < F.col("_k")).select("item_id", F.lit(False).alias("_plain"), "_k", F.lit(1).cast("long").alias("_n"), F.xxhash64("_win").alias("_h"), "_win", "_values")
-    bench = checkpointed(bench.unionByName(literal).dropDuplicates(["item_id", "_h"]))
+    literal = literal.select("item_id", F.lit(True).alias("_plain"), "_k", F.xxhash64("_win", F.lit(_PLAIN)).alias("_h"))
+    places = pos.select("item_id", "_k", "_at", F.slice("_w", F.col("_at"), F.col("_k")).alias("_win"), F.slice("_raw", F.col("_at"), F.col("_k")).alias("_values"))
+    places = settled(places.where("_k >= 4").where(2 * placeholders < F.col("_k")).withColumn("_h", F.xxhash64("_win")))
+    bench = literal.unionByName(places.select("item_id", F.lit(False).alias("_plain"), "_k", "_h"))
+    bench = settled(bench.groupBy("item_id", "_plain", "_k", "_h").agg(F.when(F.col("_plain"), F.count(F.lit(1))).otherwise(F.lit(1)).alias("_n")))
     sizes = sorted((r[0], r[1]) for r in bench.select("_plain", "_k").distinct().collect())  # at most `window` numbers of each kind
     if not sizes:
         sizes = [(False, window)]
@@ -85,19 +109,17 @@ def contamination(docs: DataFrame, benchmark: DataFrame, *, window: int = WINDOW
     at = settled(hashed.join(keys, "_h").groupBy("doc_id").agg(F.collect_set(F.struct("_h", "_at", "_k")).alias("_found")))  # of one document: as many as its windows
     hit = plain.join(small_or_shuffled(settled(at.select("doc_id"))), "doc_id", "left_semi")  # ids alone may be broadcast
     found = hit.join(at.hint("merge"), "doc_id").select("doc_id", F.split("_t", " ").alias("_raw"), F.explode("_found").alias("_x"))
-    found = checkpointed(found.select("doc_id", "_x._h", F.slice("_raw", F.col("_x._at") + 1, F.col("_x._k")).alias("_own")).distinct())
+    found = settled(found.select("doc_id", "_x._h", "_x._at", F.slice("_raw", F.col("_x._at") + 1, F.col("_x._k")).alias("_own")).distinct())
 
-    hits = found.join(small_or_shuffled(bench.select("_h", "item_id", "_plain", "_n", "_win", "_values"), 50_000), "_h")
-    pair = F.arrays_zip(F.col("_win"), F.col("_values"), F.col("_own"))
-    pair = F.filter(pair, lambda x: x["_win"].rlike("[\x01-\x03]"))
-    bare = lambda s: F.regexp_replace(s, r"^[^\p{L}\p{N}]+|[^\p{L}\p{N}]+$", "")
-    one = F.array_distinct(F.transform(pair, lambda x: F.struct(bare(x["_values"]).alias("v"), bare(x["_own"]).alias("o"))))
-    distinct = lambda k: F.size(F.array_distinct(F.transform(one, lambda x: x[k])))
-    consistent = (distinct("v") == F.size(one)) & (distinct("o") == F.size(one))
-    same = F.forall(one, lambda x: x["v"] == x["o"])
-    seen = hits.select("doc_id", "item_id", "_plain", "_n", "_h", consistent.alias("_ok"), same.alias("_same")).groupBy("doc_id", "item_id", "_plain", "_h").agg(F.max("_ok").alias("_ok"), F.max("_same").alias("_same"), F.max("_n").alias("_n"))
-    pairs = seen.groupBy("doc_id", "item_id", "_plain").agg(F.count(F.lit(1)).alias("n_windows"), F.sum(F.col("_ok").cast("long")).alias("_ok"), F.sum("_n").alias("_places"), F.min("_same").alias("exact"))
+    # ids first: only pairs with enough of an item's windows have their values fetched
+    seen = found.select("doc_id", "_h").distinct().join(small_or_shuffled(bench), "_h")
+    pairs = seen.groupBy("doc_id", "item_id", "_plain").agg(F.count(F.lit(1)).alias("n_windows"), F.sum("_n").alias("_places"))
     totals = bench.groupBy("item_id", "_plain").agg(F.count(F.lit(1)).alias("item_windows"))
-    pairs = pairs.join(small_or_shuffled(settled(totals)), ["item_id", "_plain"]).where(((F.col("n_windows") >= least_share * F.col("item_windows")) | (F.col("_plain") & (F.col("_places") >= max(1, exact_run - window + 1)))) & (2 * F.col("_ok") > F.col("n_windows")))
+    share = F.col("n_windows") >= least_share * F.col("item_windows")
+    run = F.col("_plain") & (F.col("_places") >= max(1, exact_run - window + 1))
+    pairs = settled(pairs.join(small_or_shuffled(settled(totals)), ["item_id", "_plain"]).where(share | run).drop("_places"))
+    templates = _consistent(pairs.where("not _plain"), found, places, least_share)
+    plains = pairs.where("_plain").withColumn("exact", F.lit(True))
+    pairs = plains.unionByName(pairs.where("not _plain").join(templates, ["doc_id", "item_id"]))
     figures = F.min_by(F.struct("n_windows", "item_windows", "exact"), "_plain").alias("_x")  # of template windows where they suffice
     return pairs.groupBy("doc_id", "item_id").agg(figures).select("doc_id", "item_id", "_x.*")
