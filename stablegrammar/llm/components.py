@@ -12,7 +12,7 @@ def components(links: DataFrame) -> DataFrame:
     """links(a, b) -> (node, root): the smallest id reachable, for every node that has a link.
 
     Each turn hooks every node to its smallest smaller neighbour, flattens these pointers by doubling, and renames the ends of
-    the links; links within one root go. Both steps are keyed joins of checkpointed tables, whose skewed sides AQE may split.
+    the links; links within one root go. Both steps are keyed joins of settled tables, whose skewed sides AQE may split.
     """
     e = settled(links.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a < b").distinct())
     roots = e.select(F.col("a").alias("node")).union(e.select("b")).distinct().select("node", F.col("node").alias("root"))

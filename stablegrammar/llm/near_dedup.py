@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from stablegrammar.llm.common import checkpointed, map_texts, settled, small_or_shuffled, texts
+from stablegrammar.llm.common import map_texts, settled, small_or_shuffled, texts
 from stablegrammar.llm.components import components
 
 BANDS, ROWS = 28, 6
@@ -179,12 +179,10 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, percent: int, words: int) -> D
     return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "ta", "tb").mapInArrow(kernel, "a long, b long")
 
 
-def _sharing_prefix(reps: DataFrame, docs: DataFrame, percent: int, words: int) -> DataFrame:
-    """Pairs of reps(rep, root) in different components that may link: exact prefix filtering.
+def _prefixes(reps: DataFrame, docs: DataFrame, percent: int, words: int) -> DataFrame:
+    """(rep, n, shingle, at): the first n - ceil(n * percent / 100) + 1 shingles of each document, from rare to frequent, `at` from 1.
 
-    With shingles ordered from rare to frequent, linked sets share one of their first n - ceil(n * percent / 100) + 1. Shingles that
-    only one of these documents has fill places of that prefix but need no join. The prefixes' common shingles, and what can follow
-    the last of them, bound the overlap from above, which discards most pairs before they are made; the first of them makes the pair.
+    Shingles that only one of these documents has take the first places but aren't returned: nothing can meet there.
     """
 
     def kernel(lists: Iterator) -> Iterator[dict]:
@@ -192,25 +190,43 @@ def _sharing_prefix(reps: DataFrame, docs: DataFrame, percent: int, words: int)
         for ids, held in lists:
             yield {"rep": ids, "own": [shingles(t).view(np.int64) for t in held]}
 
-    sets = map_texts(docs.join(small_or_shuffled(settled(reps.select(F.col("rep").alias("doc_id")))), "doc_id", "left_semi").select("doc_id", "text"), kernel, "rep long, own array<long>").where("size(own) > 0")
-    each = settled(sets.select("rep", F.size("own").cast("long").alias("n"), F.explode("own").alias("shingle")))
+    ids = small_or_shuffled(settled(reps.select(F.col("rep").alias("doc_id"))))
+    sets = map_texts(docs.join(ids, "doc_id", "left_semi").select("doc_id", "text"), kernel, "rep long, own array<long>")
+    each = settled(sets.where("size(own) > 0").select("rep", F.size("own").cast("long").alias("n"), F.explode("own").alias("shingle")))
     common = settled(each.groupBy("shingle").agg(F.count(F.lit(1)).alias("df")).where("df > 1"))
     mine = each.join(common, "shingle").select("rep", "n", "shingle", "df")
     by_rep = Window.partitionBy("rep", "n")
-    ranked = mine.withColumn("at", F.row_number().over(by_rep.orderBy("df", "shingle")) + F.col("n") - F.count(F.lit(1)).over(by_rep))
-    prefix = ranked.where(f"at <= n - cast(ceil(n * {percent} / 100) as long) + 1").groupBy("rep", "n").agg(F.array_sort(F.collect_list(F.struct("at", "shingle"))).alias("_p"))
-    prefix = prefix.select("rep", "n", F.col("_p.shingle").alias("p"), (F.col("_p")[0]["at"] - 1).alias("u"))
-    placed = settled(prefix.join(reps, "rep").select("*", F.explode("p").alias("shingle")))
-    open_keys = settled(placed.groupBy("shingle").agg(F.min("root").alias("_lo"), F.max("root").alias("_hi")).where("_lo < _hi").select("shingle"))
+    alone = F.col("n") - F.count(F.lit(1)).over(by_rep)
+    ranked = mine.withColumn("at", F.row_number().over(by_rep.orderBy("df", "shingle")) + alone)
+    return ranked.where(f"at <= n - cast(ceil(n * {percent} / 100) as long) + 1").select("rep", "n", "shingle", "at")
+
+
+def _sharing_prefix(reps: DataFrame, docs: DataFrame, percent: int, words: int) -> DataFrame:
+    """Pairs of reps(rep, root) in different components that may link: exact prefix filtering.
+
+    Linked sets share a shingle of both prefixes, and what follows the first shared one bounds the overlap. Rows of that join hold ids,
+    sizes and places only, so memory for a document grows with its prefix; a frequent shingle meets by sort-merge, whose skewed keys
+    AQE splits. The prefixes' whole intersection then bounds the overlap of the pairs that are left, whose prefixes alone are fetched.
+    """
+    prefix = settled(_prefixes(reps, docs, percent, words))
+    placed = prefix.join(reps, "rep")
+    open_keys = placed.groupBy("shingle").agg(F.min("root").alias("_lo"), F.max("root").alias("_hi")).where("_lo < _hi").select("shingle")
     rest = settled(placed.join(open_keys, "shingle"))
-    x, y = (rest.select("shingle", F.col("rep").alias(c), F.col("root").alias(f"_{c}"), *(F.col(v).alias(f"{v}{c}") for v in "npu")) for c in "ab")
-    common = F.array_intersect("pa", "pb")
-    last = F.element_at(common, -1)
+    side = lambda c: rest.select("shingle", *(F.col(x).alias(x + c) for x in ("rep", "root", "n", "at")))
+    apart = "repa < repb and roota <> rootb"
+    sizes = f"100 * least(na, nb) >= {percent} * greatest(na, nb)"
+    first = f"{100 + percent} * (1 + least(na - ata, nb - atb)) >= {percent} * (na + nb)"
+    met = side("a").hint("merge").join(side("b"), "shingle").where(f"{apart} and {sizes} and {first}")
+    pairs = settled(met.select(F.col("repa").alias("a"), F.col("repb").alias("b")).distinct())
+
+    own = prefix.groupBy("rep", "n").agg(F.array_sort(F.collect_list(F.struct("at", "shingle"))).alias("_p"))
+    own = own.select("rep", "n", F.col("_p.shingle").alias("p"), (F.col("_p")[0]["at"] - 1).alias("u"))
+    of = lambda c: own.select(F.col("rep").alias(c), *(F.col(x).alias(x + c) for x in ("n", "p", "u")))
+    both = pairs.join(of("a"), "a").join(of("b"), "b").withColumn("_common", F.array_intersect("pa", "pb"))
+    last = F.element_at("_common", -1)
     beyond = lambda c: F.col(f"n{c}") - F.col(f"u{c}") - F.array_position(F.col(f"p{c}"), last)
-    reach = F.size(common) + F.least(beyond("a"), beyond("b"))
-    may_link = (F.element_at(common, 1) == F.col("shingle")) & ((100 + percent) * reach >= percent * (F.col("na") + F.col("nb")))
-    sizes = f"a < b and _a <> _b and 100 * least(na, nb) >= {percent} * greatest(na, nb)"
-    return x.join(y, "shingle").where(sizes).where(may_link).select("a", "b")
+    reach = F.size("_common") + F.least(beyond("a"), beyond("b"))
+    return both.where((100 + percent) * reach >= percent * (F.col("na") + F.col("nb"))).select("a", "b")
 
 
 def near_duplicates(docs: DataFrame, *, percent: int = 85, words: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -222,15 +238,15 @@ def near_duplicates(docs: DataFrame, *, percent: int = 85, words: int = 5, id_co
     span components are joined by prefix filtering over their full sets, so that no candidate pair that could join two components is
     left out, though near-copies below the threshold never meet in bulk. Null and empty texts link with nothing.
     Rows with a null id stay apart: component_id null, kept true. Rows that share an id are one document. Other columns are ignored;
-    an empty table gives an empty result. Candidates come from 28 bands of 6 registers at 85 %, 33 of 5 at 80 %: a pair at the
+    an empty table gives an empty result. Texts of any length are compared whole. Candidates come from 28 bands of 6 registers at 85 %, 33 of 5 at 80 %: a pair at the
     threshold is missed with a probability of about 2 in a million.
     """
     own = texts(docs, id_col, text_col)
-    sketches = checkpointed(sketch(own, words))
-    reps = checkpointed(sketches.where("n > 0 and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("regs").alias("regs")))
+    sketches = settled(sketch(own, words))
+    reps = settled(sketches.where("n > 0 and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("regs").alias("regs")))
     banded = _banded(reps, *banding(percent))
     keys = banded.groupBy("key").agg(F.min("rep").alias("_min"), F.max("rep").alias("_max")).where("_min < _max")
-    shared = checkpointed(banded.join(checkpointed(keys.select("key")), "key"))
+    shared = settled(banded.join(settled(keys.select("key")), "key"))
     links, roots = None, reps.select(F.col("rep").alias("node"), F.col("rep").alias("root"))
     for turn in range(HUB_TURNS + 1):
         placed = settled(shared.join(roots, shared["rep"] == roots["node"], "left").select("key", "rep", F.coalesce("root", "rep").alias("root")))
@@ -249,7 +265,7 @@ def near_duplicates(docs: DataFrame, *, percent: int = 85, words: int = 5, id_co
         if not new.isEmpty():
             roots = components(links)
 
-    found = checkpointed(reps.join(roots, reps["rep"] == roots["node"], "left").select("set_key", F.coalesce("root", "rep").alias("_root")))
+    found = settled(reps.join(roots, reps["rep"] == roots["node"], "left").select("set_key", F.coalesce("root", "rep").alias("_root")))
     out = sketches.select("doc_id", F.col("n").alias("n_shingles"), "set_key").join(found, "set_key", "left")
     component = F.least(F.coalesce("_root", "doc_id"), F.col("doc_id"))
     component = F.when(F.col("doc_id").isNotNull(), component)
