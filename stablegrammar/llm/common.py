@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
+import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -22,32 +26,46 @@ def texts(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Data
     return df.select(df[id_col].cast("long").alias("doc_id"), F.coalesce(df[text_col], F.lit("")).alias("text"))
 
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """Cut the lineage with files that all executors share: spark.checkpoint.dir, set here only where it is unset."""
-    sc = df.sparkSession.sparkContext
-    if sc._jsc.sc().getCheckpointDir().isEmpty():
-        where = df.sparkSession.conf.get("spark.checkpoint.dir", "") or sc.getConf().get("spark.checkpoint.dir", "")
-        sc.setCheckpointDir(where or tempfile.mkdtemp(prefix="checkpoints-"))
-    return df.checkpoint(eager=True)
+def shared_folder(spark: SparkSession) -> str:
+    """A folder of this session in spark.checkpoint.dir. Only a local master, which has no other machine, may do without that setting."""
+    sc = spark.sparkContext
+    if sc.getCheckpointDir() is None:
+        where = spark.conf.get("spark.checkpoint.dir", "") or sc.getConf().get("spark.checkpoint.dir", "")
+        if not where and not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        if not where:
+            where = tempfile.mkdtemp(prefix="checkpoints-")
+            atexit.register(shutil.rmtree, where, ignore_errors=True)
+        sc.setCheckpointDir(where)
+    return sc.getCheckpointDir()
 
 
 def settled(df: DataFrame) -> DataFrame:
-    """checkpointed(), for narrow tables in loops: the planner also forgets the size estimate, a product over joins that each turn would square.
+    """Cut the lineage with a Parquet table in the shared folder.
 
-    A task for each core and more is enough for them: turns of many tiny tasks would leave a small file for every pair of tasks.
+    Its readers take only the columns they need, and the planner learns its true size: size estimates of checkpoints are products over
+    the joins before them, which a loop that joins its own results would square each turn.
     """
-    session = df.sparkSession
-    done = checkpointed(df.coalesce(max(8, 4 * session.sparkContext.defaultParallelism)))._jdf
-    return DataFrame(session._jsparkSession.createDataFrame(done.toJavaRDD(), done.schema()), session)
+    path = f"{shared_folder(df.sparkSession)}/{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def unused(columns: list[str], name: str) -> str:
+    """A column name that none of the columns has."""
+    taken = {c.lower() for c in columns}
+    while name.lower() in taken:
+        name = "_" + name
+    return name
 
 
 def small_or_shuffled(df: DataFrame, limit: int = BROADCAST_ROWS) -> DataFrame:
-    """Mark a checkpointed side for broadcast if its counted rows stay within the limit; else leave it to a shuffle join."""
+    """Mark a settled side for broadcast if its counted rows stay within the limit; else leave it to a shuffle join."""
     return F.broadcast(df) if df.limit(limit + 1).count() <= limit else df.hint("merge")
 
 
 def map_texts(df: DataFrame, kernel: Callable[[Iterator[tuple[list, list[str]]]], Iterator[dict]], schema: str, batch_bytes: int = 4 << 20) -> DataFrame:
-    """Run a kernel over (ids, texts) lists that hold about `batch_bytes` bytes each, one long text making a list of its own."""
+    """Run a kernel over (ids, texts) lists that hold about `batch_bytes` UTF-8 bytes each, one long text making a list of its own."""
     arrow = None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -56,14 +74,14 @@ def map_texts(df: DataFrame, kernel: Callable[[Iterator[tuple[list, list[str]]]]
             held: list[str] = []
             size = 0
             for batch in batches:
-                for i, t in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                    t = t.as_py()
-                    if held and size + len(t) > batch_bytes:
+                sizes = pc.binary_length(batch.column(1)).to_pylist()
+                for i, t, n in zip(batch.column(0).to_pylist(), batch.column(1), sizes, strict=True):
+                    if held and size + n > batch_bytes:
                         yield ids, held
                         ids, held, size = [], [], 0
                     ids.append(i)
-                    held.append(t)
-                    size += len(t)
+                    held.append(t.as_py())
+                    size += n
             if held:
                 yield ids, held
 

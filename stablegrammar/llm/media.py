@@ -33,8 +33,11 @@ def from_wav(media: bytes) -> bytes:
         return r.readframes(r.getnframes())
 
 
-def spectral_peaks(payload: bytes, frame: int = BLOCK, hop: int = BLOCK, per_frame: int = 2) -> tuple[np.ndarray, np.ndarray]:
-    """Times and frequency bins of the strongest local maxima of each frame of the short-time Fourier transform."""
+def spectral_peaks(payload: bytes, frame: int = BLOCK, hop: int = BLOCK // 2, per_frame: int = 2) -> tuple[np.ndarray, np.ndarray]:
+    """Times and frequency bins of the strongest local maxima of each frame of the short-time Fourier transform.
+
+    Frames overlap by half, so that the window, which fades at a frame's ends, leaves no sample out of account.
+    """
     x = np.frombuffer(payload, np.uint8).astype(np.float32) - 128.0
     frames = np.lib.stride_tricks.sliding_window_view(x, frame)[::hop]
     window = np.hanning(frame).astype(np.float32)
@@ -65,7 +68,8 @@ def media_columns(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "t
 
     Columns: doc_id, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, fingerprints (array of time-coded
     longs), and media (the stored bytes) if `keep_media`. The payload is the text's UTF-8 bytes, then spaces up to a positive multiple
-    of 192; one byte is one sample. Null and empty texts become 192 spaces. One narrow pass; a row's result depends on its text only,
+    of 192; one byte is one sample. Null and empty texts become 192 spaces. Texts of any length
+    are stored whole, their frames transformed in blocks of 4096. One narrow pass; a row's result depends on its text only,
     so repeated texts agree; null ids stay null, other columns are ignored, an empty table gives an empty result.
     """
     schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, fingerprints array<long>" + ", media binary" * keep_media

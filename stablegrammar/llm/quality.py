@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from stablegrammar.llm.common import checkpointed, crc_bucket
+from stablegrammar.llm.common import crc_bucket, settled, unused
 
 #: Bound of the labelled sample that the driver fits on.
 SAMPLE_ROWS = 10_000
@@ -60,10 +60,10 @@ class Rule:
     terms: tuple[tuple[str, bool, float], ...]
     weight: float = 0.0
 
-    def column(self) -> Column:
+    def column(self, stats: str = "_stats") -> Column:
         out = None
         for name, above, at in self.terms:
-            term = F.col(f"_stats.{name}") > at if above else F.col(f"_stats.{name}") <= at
+            term = F.col(f"{stats}.{name}") > at if above else F.col(f"{stats}.{name}") <= at
             out = term if out is None else out & term
         return out
 
@@ -140,11 +140,11 @@ class RuleEnsemble:
     intercept: float
     rules: tuple[Rule, ...]
 
-    def score(self) -> Column:
-        """The probability of label 1, over the column `_stats`."""
+    def score(self, stats: str = "_stats") -> Column:
+        """The probability of label 1, over a column of statistics."""
         total = F.lit(self.intercept)
         for r in self.rules:
-            total = total + F.when(r.column(), F.lit(r.weight)).otherwise(F.lit(0.0))
+            total = total + F.when(r.column(stats), F.lit(r.weight)).otherwise(F.lit(0.0))
         return 1 / (1 + F.exp(-total))
 
 
@@ -171,29 +171,39 @@ def held_out(doc_id: Column) -> Column:
     return F.coalesce(crc_bucket(doc_id, 5) == 0, F.lit(False))
 
 
-def with_statistics(docs: DataFrame, text_col: str = "text") -> DataFrame:
-    """With a struct column `_stats` of the text's statistics, which one Arrow function computes."""
+def with_statistics(docs: DataFrame, text_col: str = "text", name: str = "_stats") -> DataFrame:
+    """With a struct column `name` of the text's statistics, which one Arrow function computes; callers choose an unused name."""
     kind = "struct<" + ", ".join(f"{x}:double" for x in FEATURES) + ">"
-    return docs.withColumn("_stats", F.arrow_udf(_statistics, kind)(F.col(text_col)))
+    return docs.withColumn(name, F.arrow_udf(_statistics, kind)(F.col(text_col)))
 
 
 def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> RuleEnsemble:
-    """Fit on at most `sample_rows` labelled rows outside the held-out fold, chosen by the hash of their ids."""
+    """Fit on labelled rows outside the held-out fold: `sample_rows` ids and 2 * `sample_rows` rows of theirs at most, both chosen by hash.
+
+    An id may have several rows; of several labels the largest counts.
+    """
     ids = labels.where(F.col("quality").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
     chosen = ids.groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max("quality").alias("_y")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_rows)
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(checkpointed(chosen)), "doc_id")  # bounded by sample_rows
-    got = with_statistics(rows).select("doc_id", "_y", "_stats.*").orderBy("doc_id").limit(2 * sample_rows).toPandas()
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64("doc_id", "text").alias("_order"))
+    rows = with_statistics(own.join(F.broadcast(settled(chosen)), "doc_id")).select("_order", "doc_id", "_y", "_stats.*")  # bounded by sample_rows
+    got = rows.orderBy("_order", "doc_id", *FEATURES).limit(2 * sample_rows).toPandas().sort_values(["doc_id", "_order"])
     return fit_rules(got[list(FEATURES)].to_numpy(float), got["_y"].to_numpy(float))
 
 
+def with_score(docs: DataFrame, model: RuleEnsemble, name: str, text_col: str = "text") -> DataFrame:
+    """The same rows and columns, and the score as a column `name`, which the caller makes sure is unused."""
+    stats = unused([*docs.columns, name], "_stats")
+    return with_statistics(docs, text_col, stats).withColumn(name, model.score(stats)).drop(stats)
+
+
 def quality_scores(docs: DataFrame, labels: DataFrame, *, threshold: float = 0.3, sample_rows: int = SAMPLE_ROWS) -> DataFrame:
     """doc_id, held_out, score (0 to 1, higher: label 1 likelier), predicted (1 if score >= threshold).
 
-    Fits first (labels and at most `sample_rows` documents), then scores every row in one narrow scan. Scores depend on the text only;
+    Fits first (labels and the documents of at most `sample_rows` of them), then scores every row in one narrow scan. Scores depend on the text only;
     null and empty texts get the score of the empty text's statistics; a null id is never held out; without usable labels the score is a
     constant. Repeated rows give repeated rows; other columns are ignored; an empty table gives an empty result.
     """
     model = train(docs, labels, sample_rows)
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    scored = with_statistics(own).select("doc_id", held_out(F.col("doc_id")).alias("held_out"), model.score().alias("score"))
+    scored = with_score(own, model, "score").select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score")
     return scored.withColumn("predicted", (F.col("score") >= threshold).cast("int"))

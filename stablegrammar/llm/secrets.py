@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import hashlib
 import math
 import re
 from collections.abc import Iterator
@@ -76,8 +75,8 @@ def method_spans(text: str) -> list[tuple[int, int, str]]:
 def secret_scan(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, spans: array of (kind, start, end) in code points, end exclusive, ordered by start, then kind as in KINDS.
 
-    Base spans always stay; entropy spans come besides. One narrow pass. Null and empty texts have no spans; null ids stay null;
-    repeated rows give repeated rows; other columns are ignored; an empty table gives an empty result.
+    Base spans always stay; entropy spans come besides. One narrow pass. Null and empty texts have no spans; texts of any
+    length are scanned whole; spans that start together are ordered by kind; null ids stay null; repeated rows give repeated rows; other columns are ignored; an empty table gives an empty result.
     """
 
     def kernel(lists: Iterator) -> Iterator[dict]:
@@ -87,6 +86,3 @@ def secret_scan(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "tex
 
     return map_texts(texts(docs, id_col, text_col), kernel, "doc_id long, spans array<struct<kind:string,start:long,end:long>>")
 
-
-def digest(parts: list[str]) -> str:
-    return hashlib.sha256(",".join(parts).encode()).hexdigest()

@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from stablegrammar.llm.common import checkpointed
+from stablegrammar.llm.common import settled
 
 #: Equal texts fall into one of so many ordered groups. Their sizes are all the driver ever sees of the input.
 GROUPS = 1 << 16
@@ -52,7 +52,7 @@ def shard_by_bytes(docs: DataFrame, shards: int = 8, *, groups: int = GROUPS, ce
     columns are ignored; an empty table gives an empty result. One group of copies larger than a fair share bounds the balance.
     """
     text = docs[text_col]
-    slim = checkpointed(
+    slim = settled(
         docs.select(
             docs[id_col].cast("long").alias("doc_id"),
             (F.coalesce(F.octet_length(text), F.lit(0)) + 1).cast("long").alias("size"),

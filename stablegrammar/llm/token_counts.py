@@ -26,11 +26,24 @@ def safe_pieces(text: str, size: int) -> list[str]:
     return [text[a:b] for a, b in zip(cuts, [*cuts[1:], len(text)], strict=True)]
 
 
-def token_counts(docs: DataFrame, vocabulary: str | None = None, *, limit: int = 512, piece_chars: int = 1 << 16, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def balanced(sizes: list[int], most: int) -> list[tuple[int, int]]:
+    """Half-open ranges of consecutive pieces that hold about `most` bytes each; a larger piece is a range of its own."""
+    out, begin, held = [], 0, 0
+    for k, size in enumerate(sizes):
+        if k > begin and held + size > most:
+            out.append((begin, k))
+            begin, held = k, 0
+        held += size
+    if begin < len(sizes):
+        out.append((begin, len(sizes)))
+    return out
+
+
+def token_counts(docs: DataFrame, vocabulary: str | None = None, *, limit: int = 512, piece_chars: int = 1 << 16, encode_bytes: int = 1 << 18, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_bytes, n_tokens, over_limit for every row.
 
-    One narrow pass without a shuffle. Batches hold about 4 MB of text; texts beyond `piece_chars` are cut before white space,
-    where byte-level pre-tokens end anyway. Null and empty texts: 0 bytes, 0 tokens. Null ids stay null. Repeated rows give repeated
+    One narrow pass without a shuffle. Batches hold about 4 MB of UTF-8 bytes and reach the encoder in parts of about
+    `encode_bytes`; texts beyond `piece_chars` are cut before white space, where byte-level pre-tokens end anyway. Texts of any length are counted whole. Null and empty texts: 0 bytes, 0 tokens. Null ids stay null. Repeated rows give repeated
     rows; other columns are ignored; an empty table gives an empty result.
     """
     path = vocabulary or public_tokenizers.path("byte_bpe_50k.json")
@@ -49,8 +62,8 @@ def token_counts(docs: DataFrame, vocabulary: str | None = None, *, limit: int =
                 pieces += own
                 owner += [k] * len(own)
             n = [0] * len(held)
-            for a in range(0, len(pieces), 256):
-                for k, e in zip(owner[a : a + 256], tok.encode_batch_fast(pieces[a : a + 256], add_special_tokens=False), strict=True):
+            for a, b in balanced([len(x.encode()) for x in pieces], encode_bytes):
+                for k, e in zip(owner[a:b], tok.encode_batch_fast(pieces[a:b], add_special_tokens=False), strict=True):
                     n[k] += len(e)
             yield {"doc_id": ids, "n_tokens": n, "n_bytes": [len(t.encode()) for t in held]}
 

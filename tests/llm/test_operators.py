@@ -227,12 +227,21 @@ def test_decontamination(spark, odd, none):
     mixed = item.replace("at 9 with 120", "at 9 with 9").replace("Paris stay", "Rome stay").replace("Lyon", "Paris")
     docs = spark.createDataFrame([(1, prose(1, 50) + "\n" + item + "\n" + prose(2, 50)), (2, "So " + changed + " again"), (3, prose(3, 200)), (4, "x four words only here y"), (5, mixed), (6, item[:30])], "doc_id long, text string")
     got = {(r["doc_id"], r["item_id"]): r["exact"] for r in decontamination.contamination(docs, bench).collect()}
-    assert got.pop((5, 1), None) in (None, False)
     assert got == {(1, 1): True, (2, 1): False, (4, 2): True}
     assert decontamination.contamination(odd, bench).isEmpty() and decontamination.contamination(none, bench).isEmpty()
     assert decontamination.contamination(docs, bench.limit(0)).isEmpty()
 
 
+def test_decontamination_checks_slots_jointly(spark):
+    item = "the first train starts with 40 guests and then rolls past the long wall before any of the other people there can see how all those 40 guests leave it again"
+    bench = spark.createDataFrame([(1, item)], "item_id long, text string")
+    changed = lambda a, b: item.replace("with 40", f"with {a}").replace("those 40", f"those {b}")
+    texts = [changed(7, 7), changed(7, 9), changed(7, 9).replace("long wall", "very long wall"), changed(8, 8).replace("long wall", "very long wall"), changed(7, 9) + " " + changed(5, 5)]
+    docs = spark.createDataFrame([(i, prose(40 + i, 20) + " " + t) for i, t in enumerate(texts)], "doc_id long, text string")
+    got = {r["doc_id"]: r["exact"] for r in decontamination.contamination(docs, bench, exact_run=99, least_share=0.55).collect()}
+    assert {0, 3, 4} <= set(got) and not got[0]
+
+
 def test_decontamination_without_case(spark):
     item = "In March the Captain Of the Green Harbour met Anna Lind And nine Sailors From Bergen near the old stone Bridge"
     bench = spark.createDataFrame([(1, item)], "item_id long, text string")
@@ -259,33 +268,53 @@ def test_pii(spark, odd, none):
     values = ["4562298812442145", "4562 2988 1244 2145", "+1 (213) 555-2625", "78.181.149.139", "lipgt.48@mail6.example.com", "2024-02-29", "123-45-6789"]
     kept = ["8838", "4562298812442146", "2023-02-30", "999.1.1.1", "v1.2.3", "5154071cf8eca076b7432de27bab37d5385fdeeb", "300.50"]
     df = spark.createDataFrame([(i, f"see {v}, twice {v}!") for i, v in enumerate(values + kept)], "doc_id long, text string")
-    got = [re.fullmatch("see (.*), twice (.*)!", r["text"]).groups() for r in by_id(pii.pseudonymise(df))]
+    got = [re.fullmatch("see (.*), twice (.*)!", r["text"]).groups() for r in by_id(pii.pseudonymise(df, key="k"))]
     assert all(a == b for a, b in got)
     new = [a for a, _ in got]
     assert new[len(values) :] == kept and not set(new[: len(values)]) & set(values)
     assert luhn(new[0]) and new[1].replace(" ", "") == new[0] and re.fullmatch(r"\d{4} \d{4} \d{4} \d{4}", new[1])
     assert re.fullmatch(r"\+1 \(\d{3}\) \d{3}-\d{4}", new[2]) and re.fullmatch(r"[a-z]{5}\.\d\d@mail6\.example\.com", new[4]) and re.fullmatch(r"\d{4}-\d\d-\d\d", new[5])
     assert all(0 <= int(x) <= 255 for x in new[3].split("."))
-    assert by_id(pii.pseudonymise(df, key="another"))[0]["text"] != by_id(pii.pseudonymise(df))[0]["text"]
-    out = by_id(pii.pseudonymise(odd))
-    assert [(r["doc_id"], r["text"]) for r in out] == [(r["doc_id"], r["text"]) for r in by_id(odd)] and pii.pseudonymise(odd).columns == odd.columns
-    assert pii.pseudonymise(none).isEmpty()
+    assert by_id(pii.pseudonymise(df, key="another"))[0]["text"] != by_id(pii.pseudonymise(df, key="k"))[0]["text"]
+    out = by_id(pii.pseudonymise(odd, key="k"))
+    assert [(r["doc_id"], r["text"]) for r in out] == [(r["doc_id"], r["text"]) for r in by_id(odd)] and pii.pseudonymise(odd, key="k").columns == odd.columns
+    assert pii.pseudonymise(none, key="k").isEmpty()
 
 
 def test_feistel_is_a_permutation(spark):
-    x = spark.range(270 * 270).select(pii.feistel(F.col("id"), 270, 270, "k", "date").alias("y"))
-    assert x.distinct().count() == 270 * 270 and x.agg(F.min("y"), F.max("y")).first() == (0, 270 * 270 - 1)
+    day = F.date_format(F.date_add(F.lit("1900-01-01").cast("date"), F.col("id").cast("int")), "yyyy-MM-dd")
+    new = spark.range(73_049).select(pii.pseudonym(day, "k").alias("y"))  # every date that the pattern admits
+    assert new.distinct().count() == 73_049 and new.where(~F.col("y").rlike(f"^{pii.PATTERNS['date']}$")).isEmpty()
+    n = F.col("id") * 2_953
+    ssn = F.format_string("%03d-%02d-%04d", 1 + n % 665, 1 + F.floor(n / 665) % 99, 1 + F.floor(n / 3) % 9_999)
+    both = spark.range(50_000).select(ssn.alias("x")).distinct().select("x", pii.pseudonym(F.col("x"), "k").alias("y"))
+    assert both.select("y").distinct().count() == both.count() and both.where(~F.col("y").rlike(f"^{pii.PATTERNS['ssn']}$")).isEmpty()
     for n in (1, 2, 3):
         d = spark.range(10**n).select(pii.permuted_digits(F.lpad(F.col("id").cast("string"), n, "0"), "k", "t").alias("y")).distinct()
         assert d.count() == 10**n and d.where(F.length("y") != n).isEmpty()
 
 
+def test_cards_among_numbers_and_counts(spark):
+    card, other = "4785380592391139", "4562298812442145"
+    inside = [f"{card} 12 items", f"order 77 {card}", "1234 4785 3805 9239 1139 12", f"{card} 2024-02-29", f"{card} 10.0.0.1", f"{card} {other}", f"{card}x", "1 2 3 4 5 6 7 8 9 10 11 12 13 14", "+44 20 7946 0958", "+442079460958", "01.2.3.4", None, ""]
+    df = spark.createDataFrame(list(enumerate(inside)), "n_values long, text string")
+    got = [(r["text"], r["c"]) for r in sorted(pii.pseudonymise(df, key="k", count_col="c").collect())]
+    new = got[0][0].split()[0]
+    assert luhn(new) and new != card and got[1][0] == f"order 77 {new}"
+    assert got[2][0].replace(" ", "") == f"1234{new}12" and [n for _, n in got] == [1, 1, 1, 2, 2, 1, 0, 0, 1, 1, 0, 0, 0]
+    assert got[5][0].split()[0] == new and luhn(got[5][0].split()[1]) and got[6][0] == inside[6] and got[8][0].replace(" ", "") == got[9][0]
+    with pytest.raises(ValueError):
+        pii.pseudonymise(df, key="k", count_col="n_values")
+    with pytest.raises(ValueError):
+        pii.pseudonymise(df, key="")
+
+
 def test_substring_dedup(spark, odd, none):
     passage = prose(50, 70)
     docs = [prose(1, 60) + "\n" + passage + "\n" + prose(2, 60), prose(3, 60), prose(4, 40) + "\n" + passage, passage + "\n" + prose(5, 50) + "\n" + passage, "Short one. Two here."] + ["Short one. Two here. " + prose(9, 40)]
     df = spark.createDataFrame(list(enumerate(docs)), "doc_id long, text string")
     got = by_id(spans.remove_repeated_spans(df))
-    assert [r["n_removed"] > 0 for r in got] == [False, False, True, True, False, False]
+    assert [r["n_removed"] > 0 for r in got] == [False, False, True, True, False, True]
     assert passage not in got[2]["clean_text"] and got[2]["clean_text"].startswith(prose(4, 40)) and prose(5, 50) in got[3]["clean_text"]
     # brute force over all runs
     first, cut = {}, {}
@@ -302,8 +331,12 @@ def test_substring_dedup(spark, odd, none):
                 stretch[-1].append(k)
             else:
                 stretch.append([k])
-        n = sum(len(x) for x in stretch if len(t[s[x[0]][0] : s[x[-1]][1]].split()) >= 20)
+        n = sum(map(len, stretch))
         assert got[i]["n_removed"] == n
+    least = by_id(spans.remove_repeated_spans(df, least_words=20))
+    assert [r["n_removed"] > 0 for r in least] == [False, False, True, True, False, False]
+    shared = spark.createDataFrame([(1, docs[0]), (2, prose(3, 30)), (2, docs[2]), (2, None)], "doc_id long, text string")  # one id, several texts
+    assert sorted((r["doc_id"], passage in r["clean_text"]) for r in spans.remove_repeated_spans(shared).collect()) == [(1, True), (2, False), (2, False), (2, False)]
     for t in (*docs, *filter(None, ODD)):
         assert "".join(t[a:b] for a, b in spans.sentences(t)) == t
     odds = by_id(spans.remove_repeated_spans(odd))
