@@ -3,9 +3,10 @@
 from __future__ import annotations
 
 import re
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from zlib import crc32
 
+import numpy as np
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -53,14 +54,10 @@ def _words(text: str, a: int, b: int) -> str:
     return " ".join(text[a:b].split())
 
 
-def _run_hashes(parts: list[str], run: int) -> list[tuple[int, int]]:
-    """128 bits, as two signed longs, of every run of `run` consecutive parts."""
-    out = []
-    for k in range(len(parts) - run + 1):
-        h = xxhash.xxh3_128_intdigest("\n".join(parts[k : k + run]))
-        hi, lo = h >> 64, h & 0xFFFFFFFFFFFFFFFF
-        out.append((hi - (hi >> 63 << 64), lo - (lo >> 63 << 64)))
-    return out
+def _run_hashes(parts: list[str], starts: Iterable[int], run: int) -> np.ndarray:
+    """128 bits, as two signed longs, of the runs of `run` consecutive parts that begin at `starts`."""
+    digests = [xxhash.xxh3_128_digest("\n".join(parts[k : k + run])) for k in starts]
+    return np.frombuffer(b"".join(digests), ">i8").reshape(-1, 2).astype(np.int64)
 
 
 def sentence_runs(docs: DataFrame, run: int) -> DataFrame:
@@ -68,14 +65,14 @@ def sentence_runs(docs: DataFrame, run: int) -> DataFrame:
 
     def kernel(lists: Iterator) -> Iterator[dict]:
         for ids, held in lists:
-            out: dict[str, list] = {"hi": [], "lo": [], "doc_id": [], "at": []}
-            for i, t in zip(ids, held, strict=True):
-                hashes = _run_hashes([_words(t, a, b) for a, b in sentences(t)], run)
-                out["hi"] += [h for h, _ in hashes]
-                out["lo"] += [h for _, h in hashes]
-                out["at"] += range(len(hashes))
-                out["doc_id"] += [i] * len(hashes)
-            yield out
+            hashes, sizes = [np.empty((0, 2), np.int64)], []
+            for t in held:
+                s = [_words(t, a, b) for a, b in sentences(t)]
+                hashes.append(_run_hashes(s, range(len(s) - run + 1), run))
+                sizes.append(len(hashes[-1]))
+            flat = np.concatenate(hashes)
+            at = np.concatenate([np.arange(n, dtype=np.int32) for n in sizes] or [np.empty(0, np.int32)])
+            yield {"hi": flat[:, 0], "lo": flat[:, 1], "doc_id": np.repeat(np.array(ids, np.int64), sizes), "at": at}
 
     return map_texts(docs, kernel, "hi long, lo long, doc_id long, at int")
 
@@ -97,8 +94,10 @@ def _without_repeats(text: str, marks: list[dict], run: int, least_words: int) -
     A mark holds only where the text's own run has its hash: rows that share an id but not the text don't lose each other's places.
     """
     s = sentences(text)
-    hashes = _run_hashes([_words(text, a, b) for a, b in s], run) if marks else []
-    starts = [m["at"] for m in marks if m["at"] < len(hashes) and hashes[m["at"]][1] == m["lo"]]
+    marks = [m for m in marks if m["at"] + run <= len(s)]
+    near = {k: _words(text, *s[k]) for m in marks for k in range(m["at"], m["at"] + run)}
+    own = [int(_run_hashes([near[m["at"] + d] for d in range(run)], (0,), run)[0, 1]) for m in marks]
+    starts = [m["at"] for m, lo in zip(marks, own, strict=True) if lo == m["lo"]]
     cut, words, n = [], 0, 0
     for group in _stretches(sorted({k + d for k in starts for d in range(run)})):
         a, b = s[group[0]][0], s[group[-1]][1]
