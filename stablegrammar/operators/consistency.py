@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from functools import reduce
+
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from stablegrammar.functions.hashing import HashFamily
 from stablegrammar.operators.build import breaks_numpy
+from stablegrammar.operators.lineage import settled
 from stablegrammar.operators.model import Grammar
 
 
@@ -41,19 +47,49 @@ def pattern_core(pattern: str, family: HashFamily) -> list[tuple[int, int, int,
     return out
 
 
+#: Patterns that one turn of a search broadcasts, about.
+BLOCK = 10_000
+
+
+def _holding(strings: DataFrame, patterns: DataFrame) -> DataFrame:
+    """(pattern_id, pattern, string_id, text) wherever the text holds the pattern; patterns(pattern_id, pattern) in blocks of about BLOCK."""
+    blocks = max(1, -(-patterns.count() // BLOCK))
+    of = F.pmod(F.xxhash64("pattern_id", "pattern"), F.lit(blocks))
+    hits = [strings.join(F.broadcast(patterns.where(of == b)), F.instr(F.col("text"), F.col("pattern")) > 0) for b in range(blocks)]
+    return reduce(DataFrame.unionByName, hits).select(F.col("pattern_id").cast("long"), "pattern", F.col("string_id").cast("long"), "text")
+
+
+def _places(text: str, pattern: str) -> Iterator[int]:
+    at = text.find(pattern)
+    while at >= 0:
+        yield at
+        at = text.find(pattern, at + 1)
+
+
 def core_in_occurrences(g: Grammar, strings: DataFrame, patterns: DataFrame) -> DataFrame:
-    """(pattern_id, string_id, core_nodes, found): how many of a pattern's core nodes have a rule with their fingerprint, level and length.
+    """(pattern_id, occurrences, core_nodes, core_rounds, missing): core nodes that the parse of an occurrence's own string lacks there.
 
-    patterns(pattern_id, pattern): a small list; occurrences are found by instr over a broadcast of at most 10,000 patterns.
+    A node counts as found if that parse has one of its level, length and fingerprint at its very place. Strings that hold a pattern are
+    parsed again; patterns are taken in blocks.
     """
-    rows = patterns.limit(10_000).collect()
-    core = [(r["pattern_id"], level, e - s, int(f)) for r in rows for level, _, s, e, f in pattern_core(r["pattern"], g.family)]
-    spark = strings.sparkSession
-    nodes = spark.createDataFrame(core, "pattern_id long, level int, exp_len long, fp long").distinct()
-    hit = nodes.join(g.rules.select("level", "exp_len", "fp").distinct(), ["level", "exp_len", "fp"], "left_semi").groupBy("pattern_id").agg(F.count(F.lit(1)).alias("found"))
-    total = nodes.groupBy("pattern_id").agg(F.count(F.lit(1)).alias("core_nodes"), F.max("level").alias("core_rounds"))
-    where = strings.join(F.broadcast(patterns.limit(10_000)), F.instr(F.col("text"), F.col("pattern")) > 0).groupBy("pattern_id").agg(F.count(F.lit(1)).alias("occurrences"))
-    return where.join(total, "pattern_id").join(hit, "pattern_id", "left").select("pattern_id", "occurrences", "core_nodes", "core_rounds", F.coalesce("found", F.lit(0)).alias("found"))
+    from stablegrammar.sources.sql import parse_rounds_of
+
+    family = g.family
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for x in batches:
+            out: dict[str, list] = {"pattern_id": [], "core_nodes": [], "core_rounds": [], "missing": []}
+            for pid, p, t in zip(*(x.column(c).to_pylist() for c in ("pattern_id", "pattern", "text")), strict=True):
+                core = pattern_core(p, family)
+                nodes = {(r, s - 1, n, f) for r, _, s, n, f in parse_rounds_of(t, family)} if core else set()
+                for at in _places(t, p):
+                    lost = sum((r, at + s, e - s, int(f)) not in nodes for r, _, s, e, f in core)
+                    for column, v in zip(out.values(), (pid, len(core), max((c[0] for c in core), default=0), lost), strict=True):
+                        column.append(v)
+            yield pa.RecordBatch.from_pydict(out, schema=pa.schema([("pattern_id", pa.int64()), ("core_nodes", pa.int64()), ("core_rounds", pa.int32()), ("missing", pa.int64())]))
+
+    found = _holding(strings, patterns).mapInArrow(run, "pattern_id long, core_nodes long, core_rounds int, missing long")
+    return found.groupBy("pattern_id").agg(F.count(F.lit(1)).alias("occurrences"), F.max("core_nodes").alias("core_nodes"), F.max("core_rounds").alias("core_rounds"), F.sum("missing").alias("missing"))
 
 
 def equivalent(a: Grammar, b: Grammar) -> DataFrame:
@@ -79,71 +115,105 @@ def stability_report(a: Grammar, b: Grammar) -> DataFrame:
 
 
 def structure_faults(g: Grammar) -> DataFrame:
-    """what, n: violations of one rule per symbol, of levels (children from the level below), and of root lengths."""
-    twice = g.rules.groupBy("level", "sym").count().where("count > 1").agg(F.lit("several rules").alias("what"), F.count(F.lit(1)).alias("n"))
+    """what, n, checked: violations of one rule per symbol, of levels (children from the level below), and of root lengths."""
+    faults = lambda df, what, bad: df.agg(F.lit(what).alias("what"), F.coalesce(F.sum(bad.cast("long")), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("checked"))
+    twice = faults(g.rules.groupBy("level", "sym").count(), "several rules", F.col("count") > 1)
     kids = g.rules.where("level > 1").select((F.col("level") - 1).alias("level"), F.explode("rhs").alias("sym")).distinct()
-    loose = kids.join(g.rules, ["level", "sym"], "left_anti").agg(F.lit("children without a rule").alias("what"), F.count(F.lit(1)).alias("n"))
+    known = g.rules.select("level", "sym").distinct().withColumn("_known", F.lit(True))
+    loose = faults(kids.join(known, ["level", "sym"], "left"), "children without a rule", F.col("_known").isNull())
     at = g.roots.where("root_level > 0").join(g.rules.select(F.col("level").alias("root_level"), F.col("sym").alias("root_sym"), "exp_len"), ["root_level", "root_sym"], "left")
-    wrong = at.where("not (exp_len <=> n_symbols)").agg(F.lit("roots of wrong length").alias("what"), F.count(F.lit(1)).alias("n"))
-    return twice.unionByName(loose).unionByName(wrong)
+    return twice.unionByName(loose).unionByName(faults(at, "roots of wrong length", ~F.col("exp_len").eqNullSafe(F.col("n_symbols"))))
 
 
-def find_pattern(g: Grammar, strings: DataFrame, pattern: str) -> DataFrame:
-    """(string_id, at): occurrences of a pattern; strings without its highest core nodes aren't read.
+def _anchors(patterns: DataFrame, family: HashFamily) -> DataFrame:
+    """(pattern_id, level, exp_len, fp) of the longest node of the highest round of each pattern's core; level 0 without a core."""
 
-    The core's top nodes lead to the strings that hold them through usage counts; those strings are then searched.
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for x in batches:
+            best = [max(((c[0], c[3] - c[2], int(c[4])) for c in pattern_core(p, family)), default=(0, 0, 0)) for p in x.column(1).to_pylist()]
+            level, size, fp = (pa.array([b[k] for b in best], t) for k, t in enumerate((pa.int32(), pa.int64(), pa.int64())))
+            yield pa.RecordBatch.from_arrays([x.column(0), level, size, fp], ["pattern_id", "level", "exp_len", "fp"])
+
+    return patterns.select(F.col("pattern_id").cast("long"), "pattern").mapInArrow(run, "pattern_id long, level int, exp_len long, fp long")
+
+
+def find_patterns(g: Grammar, strings: DataFrame, patterns: DataFrame) -> DataFrame:
+    """(pattern_id, string_id, at): all occurrences of all patterns(pattern_id, pattern), overlapping ones too, from 1.
+
+    Each pattern's anchor, a node of its core, is in every occurrence. Symbols that hold an anchor are followed from level to level to
+    the roots, so only strings that hold it are read. Patterns too short for a core are looked for in all strings, in blocks.
     """
-    from stablegrammar.operators.expand import usage_counts
+    patterns = patterns.where("pattern <> ''").select(F.col("pattern_id").cast("long").alias("pattern_id"), "pattern")
+    anchors = settled(_anchors(patterns, g.family))
+    reached = settled(anchors.where("level > 0").join(g.rules.select("level", "exp_len", "fp", "sym"), ["level", "exp_len", "fp"]).select("pattern_id", "level", "sym").distinct())
+    everywhere = [reached]
+    top = g.rules.agg(F.max("level")).first()[0] or 0
+    last = reached.limit(0)
+    for level in range(1, top):
+        last = settled(reached.where(F.col("level") == level).unionByName(last))
+        kids = g.rules.where(F.col("level") == level + 1).select(F.col("sym").alias("_parent"), F.explode(F.array_distinct("rhs")).alias("sym"))
+        last = settled(kids.join(last, "sym").select("pattern_id", F.lit(level + 1).alias("level"), F.col("_parent").alias("sym")).distinct())
+        everywhere.append(last)
+    held = reduce(DataFrame.unionByName, everywhere).join(g.roots, (F.col("level") == F.col("root_level")) & (F.col("sym") == F.col("root_sym")))
+    held = held.select("pattern_id", "string_id").distinct().join(patterns, "pattern_id").join(strings.select("string_id", "text"), "string_id")
+    short = patterns.join(anchors.where("level = 0").select("pattern_id"), "pattern_id", "left_semi")
+    both = held.select("pattern_id", "pattern", "string_id", "text")
+    if not short.isEmpty():
+        both = both.unionByName(_holding(strings, short))
+    size = F.length("pattern")
+    places = F.filter(F.sequence(F.lit(1), F.greatest(F.length("text") - size + 1, F.lit(1))), lambda i: F.substr(F.col("text"), i, size) == F.col("pattern"))
+    return both.where(F.instr("text", F.col("pattern")) > 0).select("pattern_id", "string_id", F.explode(places).alias("at"))
+
 
-    core = pattern_core(pattern, g.family)
-    candidates = strings
-    if core:
-        top = max(x[0] for x in core)
-        nodes = [(level, e - s, int(f)) for level, _, s, e, f in core if level == top]
-        wanted = g.rules.join(F.broadcast(strings.sparkSession.createDataFrame(nodes, "level int, exp_len long, fp long")), ["level", "exp_len", "fp"], "left_semi").select("level", "sym")
-        ids = usage_counts(g, per_string=True).join(wanted, ["level", "sym"], "left_semi").select("string_id").distinct()
-        candidates = strings.join(ids, "string_id", "left_semi")
-    n = F.length("text") - len(pattern) + 1
-    places = F.filter(F.sequence(F.lit(1), F.greatest(n, F.lit(1))), lambda i: F.substr(F.col("text"), i, F.lit(len(pattern))) == pattern)
-    return candidates.where(F.instr("text", pattern) > 0).select("string_id", F.explode(places).alias("at"))
-
-
-def symbol_jaccard(g: Grammar, level: int, least: float = 0.2, most_strings: int = 1000) -> DataFrame:
-    """(a, b, jaccard) of strings by their sets of symbols of a level; symbols in more than `most_strings` strings only count in sizes."""
+def find_pattern(g: Grammar, strings: DataFrame, pattern: str) -> DataFrame:
+    """(string_id, at): occurrences of one pattern."""
+    one = strings.sparkSession.createDataFrame([(0, pattern)], "pattern_id long, pattern string")
+    return find_patterns(g, strings, one).select("string_id", "at")
+
+
+def symbol_jaccard(g: Grammar, level: int, least: float = 0.2) -> DataFrame:
+    """(a, b, jaccard), a < b, of strings by their sets of symbols of a level, where it is at least `least`.
+
+    Strings with equal sets are one class: pairs are of classes, named by their smallest string, and of a class's smallest string with each
+    other one of it (jaccard 1). Classes meet by exact prefix filtering: with symbols ordered from rare to frequent, similar sets share
+    one of their first n - ceil(least * n) + 1, so no pair is left out, however frequent its symbols.
+    """
     from stablegrammar.operators.expand import usage_counts
 
-    sets = usage_counts(g, per_string=True).where(F.col("level") == level).select("string_id", "sym")
-    size = sets.groupBy("string_id").agg(F.count(F.lit(1)).alias("n"))
-    rare = sets.groupBy("sym").agg(F.count(F.lit(1)).alias("df")).where(f"df between 2 and {most_strings}").select("sym")
-    x = sets.join(rare, "sym")
-    pairs = x.select("sym", F.col("string_id").alias("a")).join(x.select("sym", F.col("string_id").alias("b")), "sym").where("a < b").groupBy("a", "b").agg(F.count(F.lit(1)).alias("both"))
-    side = lambda c: size.select(F.col("string_id").alias(c), F.col("n").alias(f"n{c}"))
-    return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", F.round(F.col("both") / (F.col("na") + F.col("nb") - F.col("both")), 6).alias("jaccard")).where(F.col("jaccard") >= least)
+    sets = settled(usage_counts(g, per_string=True).where(F.col("level") == level).select("string_id", "sym"))
+    classes = sets.groupBy("string_id").agg(F.array_sort(F.collect_set("sym")).alias("own")).groupBy("own").agg(F.min("string_id").alias("rep"), F.collect_list("string_id").alias("all"))
+    classes = settled(classes)
+    each = classes.select("rep", F.size("own").alias("n"), F.explode("own").alias("sym"))
+    ranked = each.join(each.groupBy("sym").agg(F.count(F.lit(1)).alias("df")), "sym").withColumn("at", F.row_number().over(Window.partitionBy("rep").orderBy("df", "sym")))
+    prefix = settled(ranked.where((F.col("df") > 1) & (F.col("at") <= F.col("n") - F.ceil(F.col("n") * least) + 1)).select("rep", "n", "sym"))
+    side = lambda c: prefix.select("sym", F.col("rep").alias(c), F.col("n").alias(f"n{c}"))
+    pairs = settled(side("a").join(side("b"), "sym").where((F.col("a") < F.col("b")) & (F.least("na", "nb") >= least * F.greatest("na", "nb"))).select("a", "b").distinct())
+    own = lambda c: classes.select(F.col("rep").alias(c), F.col("own").alias(f"s{c}"))
+    sized = pairs.join(own("a"), "a").join(own("b"), "b").select("a", "b", F.size(F.array_intersect("sa", "sb")).alias("_both"), (F.size("sa") + F.size("sb")).alias("_all"))
+    jaccard = sized.select("a", "b", F.round(F.col("_both") / (F.col("_all") - F.col("_both")), 6).alias("jaccard")).where(F.col("jaccard") >= least)
+    members = classes.select(F.col("rep").alias("a"), F.explode("all").alias("b")).where("a < b").select("a", "b", F.lit(1.0).alias("jaccard"))
+    return jaccard.unionByName(members)
 
 
 def consistency_radius(strings: DataFrame, patterns: DataFrame, family: HashFamily) -> DataFrame:
     """(pattern_id, round, occurrences, differing): phrase borders inside a pattern that not all of its occurrences share.
 
-    patterns(pattern_id, pattern): a small list, broadcast as literals of at most 10,000 rows. Only strings that hold a pattern are parsed.
+    Only strings that hold a pattern are parsed; patterns(pattern_id, pattern) are taken in blocks.
     """
-    import pyarrow as pa
-
     from stablegrammar.sources.sql import parse_rounds_of
 
-    hit = strings.join(F.broadcast(patterns.limit(10_000)), F.instr(F.col("text"), F.col("pattern")) > 0).select("pattern_id", "string_id", "pattern", "text")
+    hit = _holding(strings, patterns).select("pattern_id", "string_id", "pattern", "text")
 
     def run(batches):
         for x in batches:
             out: dict[str, list] = {"pattern_id": [], "place": [], "round": [], "at": []}
             for pid, sid, p, t in zip(*(x.column(i).to_pylist() for i in range(4)), strict=True):
                 rounds = [(r, s - 1) for r, _, s, _, _ in parse_rounds_of(t, family)]
-                at = t.find(p)
-                while at >= 0:
+                for at in _places(t, p):
                     for r, s in rounds:
                         if at < s < at + len(p):
                             for k, v in zip(out, (pid, f"{sid}:{at}", r, s - at), strict=True):
                                 out[k].append(v)
-                    at = t.find(p, at + 1)
             yield pa.RecordBatch.from_pydict(out, schema=pa.schema([("pattern_id", pa.int64()), ("place", pa.string()), ("round", pa.int32()), ("at", pa.int64())]))
 
     borders = hit.select(F.col("pattern_id").cast("long"), F.col("string_id").cast("string"), "pattern", "text").mapInArrow(run, "pattern_id long, place string, round int, at long")

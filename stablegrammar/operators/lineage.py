@@ -2,26 +2,37 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
+import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """A checkpoint in spark.checkpoint.dir, which is set here only where it is unset."""
-    session = df.sparkSession
-    sc = session.sparkContext
-    if sc._jsc.sc().getCheckpointDir().isEmpty():
-        where = session.conf.get("spark.checkpoint.dir", "") or sc.getConf().get("spark.checkpoint.dir", "")
-        sc.setCheckpointDir(where or tempfile.mkdtemp(prefix="checkpoints-"))
-    return df.checkpoint(eager=True)
+def shared_folder(spark: SparkSession) -> str:
+    """A folder of this session in spark.checkpoint.dir. Only a local master, which has no other machine, may do without that setting."""
+    sc = spark.sparkContext
+    if sc.getCheckpointDir() is None:
+        where = spark.conf.get("spark.checkpoint.dir", "") or sc.getConf().get("spark.checkpoint.dir", "")
+        if not where and not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        if not where:
+            where = tempfile.mkdtemp(prefix="checkpoints-")
+            atexit.register(shutil.rmtree, where, ignore_errors=True)
+        sc.setCheckpointDir(where)
+    return sc.getCheckpointDir()
 
 
 def settled(df: DataFrame) -> DataFrame:
-    """A checkpoint whose size estimate the planner forgets; for narrow tables, since rows are converted on the way.
+    """The same rows, read back from a Parquet table in the shared folder.
 
-    Estimates of checkpoints are products over the joins before them, which a loop that joins its own results would square at each turn.
+    Its readers take only the columns they need, and the planner learns its true size: size estimates of checkpoints are products over
+    the joins before them, which a loop that joins its own results would square at each turn.
     """
-    session = df.sparkSession
-    done = checkpointed(df)._jdf
-    return DataFrame(session._jsparkSession.createDataFrame(done.toJavaRDD(), done.schema()), session)
+    path = f"{shared_folder(df.sparkSession)}/{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+checkpointed = settled

@@ -88,22 +88,21 @@ def plain_bits(strings: DataFrame) -> DataFrame:
 
 
 def irreducibility(g: Grammar) -> DataFrame:
-    """Counts of symbols used once, and of symbols that a right-hand side of another level spells as well (equal expansions by length and fingerprint)."""
-    from stablegrammar.operators.post import occurrences
+    """what, n: symbols used once, pairs of neighbours that don't overlap and occur twice or more, and unary rules."""
+    from stablegrammar.operators.post import adjacent_pairs, occurrences
 
     once = occurrences(g).where("uses = 1 and level > 0").agg(F.lit("used once").alias("what"), F.count(F.lit(1)).alias("n"))
-    items = as_items(g)
-    pairs = items.rules.select("level", "sym", F.posexplode("rhs").alias("p", "x")).withColumn("next", F.lead("x").over(Window.partitionBy("level", "sym").orderBy("p")))
-    repeated = pairs.where("next is not null").groupBy("x", "next").agg(F.count(F.lit(1)).alias("c")).where("c > 1").agg(F.lit("repeated pairs").alias("what"), F.count(F.lit(1)).alias("n"))
+    items = as_items(g).rules.select(F.struct("level", "sym").alias("sequence"), F.posexplode("rhs").alias("pos", "sym"))
+    repeated = adjacent_pairs(items).where("uses > 1").agg(F.lit("repeated pairs").alias("what"), F.count(F.lit(1)).alias("n"))
     unary = g.rules.where("rhs_len = 1").agg(F.lit("unary rules").alias("what"), F.count(F.lit(1)).alias("n"))
     return once.unionByName(repeated).unionByName(unary)
 
 
 def entropy_coded_bits(g: Grammar) -> DataFrame:
     """Bits of an ideal order-0 code for all symbols of right-hand sides and roots."""
-    used = as_items(g).rules.select(F.explode("rhs").alias("x")).select("x.level", "x.sym").unionAll(g.roots.select("root_level", "root_sym"))
+    used = as_items(g).rules.select(F.explode("rhs").alias("x")).select("x.level", "x.sym").unionAll(g.roots.where("root_level >= 0").select("root_level", "root_sym"))
     n = used.groupBy("level", "sym").agg(F.count(F.lit(1)).alias("n"))
-    return n.agg(F.sum("n").alias("symbols"), F.round(F.sum("n") * F.log2(F.sum("n")) - F.sum(F.col("n") * F.log2("n")), 3).alias("bits"))
+    return n.agg(F.sum("n").alias("symbols"), F.round(F.sum("n") * F.log2(F.sum("n")) - F.sum(F.col("n") * F.log2("n")), 0).alias("bits"))
 
 
 def timed(df: DataFrame) -> float:

@@ -156,10 +156,9 @@ def fingerprint_collisions(spark, sf_dir):
 _NARROW = make_family(bits=8)
 
 
-@query(f"{oracle.build(oracle.DOCUMENTS, 2, _NARROW)} SELECT level::INTEGER AS level, count(*) AS symbols, (count(*) - count(DISTINCT fp))::BIGINT AS collisions FROM ({oracle.rules(2)}) GROUP BY level")
+@query(f"{oracle.build(oracle.DOCUMENTS, FULL, _NARROW)} SELECT level::INTEGER AS level, count(*) AS symbols, (count(*) - count(DISTINCT fp))::BIGINT AS collisions FROM ({oracle.rules(FULL)}) GROUP BY level")
 def narrow_fingerprint_collisions(spark, sf_dir):
-    g = build_grammar(workloads.documents(spark, sf_dir), _NARROW)
-    return measures.fingerprint_collisions(g).where("level <= 2")
+    return measures.fingerprint_collisions(build_grammar(workloads.documents(spark, sf_dir), _NARROW))
 
 
 @query(f"{oracle.build(oracle.BENCHMARK, 1, _NARROW)} SELECT count(*) AS positions, coalesce(sum((pf = fp AND ps <> sym)::INT), 0)::BIGINT AS collisions FROM (SELECT *, lag(fp) OVER w AS pf, lag(sym) OVER w AS ps FROM s1 WINDOW w AS (PARTITION BY string_id ORDER BY pos))")
@@ -168,11 +167,15 @@ def adjacent_collisions(spark, sf_dir):
     return measures.adjacent_collisions(seq)
 
 
-def _parts_by(spark, sf_dir, col: str):
+def _parts_by(spark, sf_dir, col: str, most: int = 64):
+    """Grammars of the documents of each of the `most` commonest values, of each hash group of the others, and of null."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    values = sorted(r[0] for r in docs.select(col).distinct().limit(64).collect() if r[0] is not None)
-    rest = F.col(col).isNull() | ~F.col(col).isin(values)  # null, and any value beyond, in one part
-    parts = [docs.where(F.col(col) == v) for v in values] + [docs.where(rest)]
+    common = docs.where(F.col(col).isNotNull()).groupBy(col).count().orderBy(F.desc("count"), col).limit(most + 1).collect()
+    values = sorted(r[0] for r in common[:most])
+    parts = [docs.where(F.col(col) == v) for v in values] + [docs.where(F.col(col).isNull())]
+    if len(common) > most:
+        rest = docs.where(~F.col(col).isin(values))
+        parts += [rest.where(F.pmod(F.xxhash64(col), F.lit(most)) == i) for i in range(most)]
     return [build_grammar(part.select(F.col("doc_id").alias("string_id"), "text")) for part in parts]
 
 
@@ -181,6 +184,11 @@ def merge_by_lang(spark, sf_dir):
     return measures.level_stats(merge.merge_grammars(*_parts_by(spark, sf_dir, "lang")))
 
 
+@query(_STATS)
+def merge_by_source(spark, sf_dir):
+    return measures.level_stats(merge.merge_grammars(*_parts_by(spark, sf_dir, "source")))
+
+
 @query(_STATS)
 def parallel_build_p8(spark, sf_dir):
     return measures.level_stats(build_parallel(workloads.documents(spark, sf_dir), 8))
@@ -301,31 +309,37 @@ def shared_passages(spark, sf_dir):
 @query()
 def planted_cores(spark, sf_dir):
     docs = workloads.documents(spark, sf_dir)
-    patterns = spark.read.parquet(f"{sf_dir}/benchmark.parquet").select(F.col("item_id").alias("pattern_id"), F.col("text").alias("pattern"))
-    return consistency.core_in_occurrences(build_grammar(docs), docs, patterns)
+    return consistency.core_in_occurrences(build_grammar(docs), docs, _items(spark, sf_dir))
 
 
-@query("SELECT d.doc_id AS string_id, strpos(d.text, b.text)::INTEGER AS at FROM documents d, benchmark b WHERE b.item_id = 35 AND contains(d.text, b.text)")
+@query("SELECT item_id AS pattern_id, doc_id AS string_id, i::INTEGER AS at FROM (SELECT item_id, doc_id, d.text, b.text AS pattern, unnest(range(1, length(d.text) - length(b.text) + 2)) AS i FROM documents d JOIN benchmark b ON contains(d.text, b.text)) WHERE substring(text, i, length(pattern)) = pattern")
 def find_pattern(spark, sf_dir):
+    """All occurrences of all benchmark items."""
     docs = workloads.documents(spark, sf_dir)
-    row = spark.read.parquet(f"{sf_dir}/benchmark.parquet").where("item_id = 35").select("text").first()
-    return consistency.find_pattern(build_grammar(docs), docs, row[0] if row else "no such item")
+    return consistency.find_patterns(build_grammar(docs), docs, _items(spark, sf_dir))
+
+
+def _items(spark, sf_dir):
+    return spark.read.parquet(f"{sf_dir}/benchmark.parquet").select(F.col("item_id").alias("pattern_id"), F.col("text").alias("pattern"))
 
 
-@query("SELECT 'only_a' AS side, 0::BIGINT AS n UNION ALL SELECT 'only_b', 0")
+@query(f"{oracle.build(oracle.DOCUMENTS, FULL)} SELECT level::INTEGER AS level, 0::BIGINT AS only_a, 0::BIGINT AS only_b, count(*) AS both FROM ({oracle.rules(FULL)}) GROUP BY level")
 def merge_equivalence(spark, sf_dir):
     docs = workloads.documents(spark, sf_dir)
     parts = [build_grammar(docs.where(F.pmod("string_id", F.lit(2)) == i)) for i in (0, 1)]
-    e = consistency.equivalent(merge.merge_grammars(*parts), build_grammar(docs)).agg(F.sum("only_a").alias("a"), F.sum("only_b").alias("b"))
-    return e.select(F.explode(F.array(F.struct(F.lit("only_a").alias("side"), F.col("a").alias("n")), F.struct(F.lit("only_b").alias("side"), F.col("b").alias("n")))).alias("x")).select("x.*")
+    return consistency.equivalent(merge.merge_grammars(*parts), build_grammar(docs))
 
 
-@query("SELECT * FROM (VALUES ('several rules', 0::BIGINT), ('children without a rule', 0), ('roots of wrong length', 0)) t(what, n)")
+@query(f"{oracle.build(oracle.DOCUMENTS, FULL)} SELECT what, 0::BIGINT AS n, k AS checked FROM (SELECT 'several rules' AS what, count(*) AS k FROM ({oracle.rules(FULL)}) UNION ALL SELECT 'children without a rule', count(*) FROM (SELECT DISTINCT level, c FROM (SELECT level, unnest(string_split(rhs, ',')) AS c FROM ({oracle.rules(FULL)}) WHERE level > 1)) UNION ALL SELECT 'roots of wrong length', count(*) FROM ({oracle.roots(FULL)}) WHERE root_level > 0)")
 def structure_faults(spark, sf_dir):
     return consistency.structure_faults(build_grammar(workloads.documents(spark, sf_dir)))
 
 
-@query()
+_LOW = "SELECT *, lag(fp) OVER w > fp AND lag(fp, 2) OVER w > fp AND lead(fp) OVER w > fp AND lead(fp, 2) OVER w > fp AS low FROM {seq} WINDOW w AS (PARTITION BY string_id ORDER BY pos)"
+_LOW_BUILD = oracle.build(oracle.BENCHMARK, SHORT, types=_LOW, is_break="low")
+
+
+@query(f"{_LOW_BUILD} SELECT level::INTEGER AS level, count(*) AS g_i, sum(rhs_len)::BIGINT AS size_i, sum(exp_len)::BIGINT AS exp_i FROM ({oracle.rules(SHORT)}) GROUP BY level")
 def local_min_build(spark, sf_dir):
     return measures.level_stats(build_grammar(workloads.benchmark(spark, sf_dir), breaks=local_min_numpy))
 
@@ -353,19 +367,25 @@ def key_bytes(spark, sf_dir):
     return measures.key_bytes(naming.to_dense(build_grammar(workloads.documents(spark, sf_dir))))
 
 
-@query()
+_IRREDUCIBLE = f"""{oracle.build(oracle.BENCHMARK, SHORT)}, r AS ({oracle.rules(SHORT)}), i AS (SELECT level, sym, unnest(string_split(rhs, ',')) AS c, unnest(range(1, len(string_split(rhs, ',')) + 1)) AS p FROM r),
+u AS (SELECT level - 1 AS level, c AS sym FROM i UNION ALL SELECT root_level, root_sym FROM ({oracle.roots(SHORT)})),
+b AS (SELECT *, lead(c) OVER w AS d, p - row_number() OVER (PARTITION BY level, sym, c ORDER BY p) AS run FROM i WINDOW w AS (PARTITION BY level, sym ORDER BY p)),
+a AS (SELECT level, c, d FROM (SELECT *, row_number() OVER (PARTITION BY level, sym, c, run ORDER BY p) AS k FROM b) WHERE d IS NOT NULL AND (c <> d OR k % 2 = 1))"""
+
+
+@query(f"{_IRREDUCIBLE} SELECT 'used once' AS what, count(*) AS n FROM (SELECT level, sym FROM u WHERE level > 0 GROUP BY ALL HAVING count(*) = 1) UNION ALL SELECT 'repeated pairs', count(*) FROM (SELECT level, c, d FROM a GROUP BY ALL HAVING count(*) > 1) UNION ALL SELECT 'unary rules', count(*) FROM r WHERE rhs_len = 1")
 def irreducibility(spark, sf_dir):
     return measures.irreducibility(build_grammar(workloads.benchmark(spark, sf_dir)))
 
 
-@query()
+@query(f"{oracle.build(oracle.DOCUMENTS, FULL)}, k AS (SELECT level - 1 AS level, unnest(string_split(rhs, ',')) AS sym FROM ({oracle.rules(FULL)}) UNION ALL SELECT root_level, root_sym FROM ({oracle.roots(FULL)}) WHERE root_level >= 0), h AS (SELECT count(*) AS n FROM k GROUP BY level, sym) SELECT sum(n)::BIGINT AS symbols, round(sum(n) * log2(sum(n)) - sum(n * log2(n)), 0)::DOUBLE AS bits FROM h")
 def entropy_coded_bits(spark, sf_dir):
     return measures.entropy_coded_bits(build_grammar(workloads.documents(spark, sf_dir)))
 
 
-@query("WITH c AS (SELECT p_partkey AS s, unnest(range(1, length(p_name) + 1)) AS pos, unnest(string_split(p_name, '')) AS sym FROM part), l AS (SELECT *, lead(sym) OVER w AS r, lag(sym) OVER w AS q FROM c WINDOW w AS (PARTITION BY s ORDER BY pos)), u AS (SELECT *, sum((q IS NULL OR q <> sym)::INT) OVER (PARTITION BY s ORDER BY pos ROWS UNBOUNDED PRECEDING) AS run FROM l), v AS (SELECT *, row_number() OVER (PARTITION BY s, run ORDER BY pos) AS k FROM u) SELECT sym AS \"left\", r AS \"right\", count(*) AS uses FROM v WHERE r IS NOT NULL AND (sym <> r OR k % 2 = 1) GROUP BY ALL")
+@query("WITH c AS (SELECT p_partkey AS s, unnest(range(1, length(p_name) + 1)) AS pos, unnest(string_split(p_name, '')) AS sym FROM part), l AS (SELECT *, lead(sym) OVER w AS r, lag(sym) OVER w AS q FROM c WINDOW w AS (PARTITION BY s ORDER BY pos)), u AS (SELECT *, sum((q IS NULL OR q <> sym)::INT) OVER (PARTITION BY s ORDER BY pos ROWS UNBOUNDED PRECEDING) AS run FROM l), v AS (SELECT *, row_number() OVER (PARTITION BY s, run ORDER BY pos) AS k FROM u) SELECT sym AS \"left\", r AS \"right\", count(*) AS uses FROM v WHERE r IS NOT NULL AND (sym <> r OR k % 2 = 1) GROUP BY ALL".replace("SELECT p_partkey AS s, unnest(range(1, length(p_name) + 1)) AS pos, unnest(string_split(p_name, '')) AS sym FROM part", "SELECT s, unnest(range(1, length(t) + 1)) AS pos, unnest(string_split(t, '')) AS sym FROM (SELECT p_partkey AS s, p_name AS t FROM part UNION ALL SELECT n_nationkey - 1000, n_name FROM nation UNION ALL SELECT r_regionkey - 2000, r_name FROM region)"))
 def pair_replacement_first_pairs(spark, sf_dir):
-    return baselines.first_pairs(workloads.w9(spark, sf_dir).where("string_id >= 0"))
+    return baselines.first_pairs(workloads.w9(spark, sf_dir))
 
 
 @query()
@@ -446,7 +466,15 @@ def scaling(spark, sf_dir):
     return reports.scaling(workloads.documents(spark, sf_dir), (1, 4))
 
 
-@query()
+_SEQUENCES = "SELECT l_suppkey::BIGINT AS string_id, row_number() OVER (PARTITION BY l_suppkey ORDER BY l_shipdate, l_orderkey, l_linenumber, l_partkey) AS pos, l_partkey::BIGINT AS code FROM lineitem"
+
+
+def _study_sql(bits: int) -> str:
+    b = oracle.build(_SEQUENCES, FULL, make_family(bits=bits), coded=True)
+    return f"SELECT * FROM ({b}, r AS ({oracle.rules(FULL)}) SELECT {bits}::INTEGER AS bits, level::INTEGER AS level, count(*) AS symbols, (count(*) - count(DISTINCT fp))::BIGINT AS collisions, (SELECT sum(rhs_len) FROM r)::BIGINT AS size FROM r GROUP BY level)"
+
+
+@query(" UNION ALL ".join(_study_sql(b) for b in (8, 16, 31)))
 def collision_study(spark, sf_dir):
     return reports.collision_study(workloads.w7(spark, sf_dir))
 
@@ -543,12 +571,12 @@ def consistency_radius(spark, sf_dir):
     return consistency.consistency_radius(both, passages, FAMILY)
 
 
-@query()
+@query(f"{oracle.build(oracle.DOCUMENTS, 3)}, u AS (SELECT DISTINCT string_id, sym FROM p3), z AS (SELECT string_id, count(*) AS n, string_agg(sym, ',' ORDER BY sym) AS own FROM u GROUP BY string_id), c AS (SELECT own, min(string_id) AS rep, any_value(n) AS n FROM z GROUP BY own), ru AS (SELECT u.sym, c.rep, c.n FROM u JOIN c ON u.string_id = c.rep), j AS (SELECT x.rep AS a, y.rep AS b, any_value(x.n + y.n) AS total, count(*) AS both_ FROM ru x JOIN ru y ON x.sym = y.sym AND x.rep < y.rep GROUP BY ALL) SELECT a, b, round(both_ / (total - both_), 6)::DOUBLE AS jaccard FROM j WHERE round(both_ / (total - both_), 6) >= 0.2 UNION ALL SELECT rep, string_id, 1.0::DOUBLE FROM z JOIN c USING (own) WHERE rep < string_id")
 def symbol_jaccard(spark, sf_dir):
     return consistency.symbol_jaccard(build_grammar(workloads.documents(spark, sf_dir)), 3)
 
 
-@query()
+@query(f"{oracle.build(oracle.DOCUMENTS, 1, types=_TYPES.replace('{by}', 'code'), is_break='nxt > 0 AND prev > code', active=False)} SELECT count(*) AS phrases, count(DISTINCT sym) AS distinct_phrases, max(len)::INTEGER AS longest FROM p1")
 def value_order_first_round(spark, sf_dir):
     """Ablation: distinct phrases of the first round with types by symbol value instead of by fingerprint."""
     marked = parse.value_order_breaks(parse.symbols(workloads.documents(spark, sf_dir), FAMILY))
@@ -556,7 +584,7 @@ def value_order_first_round(spark, sf_dir):
     return phrases.agg(F.count(F.lit(1)).alias("phrases"), F.count_distinct("sym").alias("distinct_phrases"), F.max("len").alias("longest"))
 
 
-@query()
+@query("SELECT item_id AS string_id, list_reduce(list_reverse(list_transform(string_split(text, ''), lambda c: unicode(c)::HUGEINT)), lambda acc, x: (acc * 1000003 + x) % 2305843009213693951, 0::HUGEINT)::BIGINT AS fp FROM benchmark")
 def wide_fingerprints(spark, sf_dir):
     """61-bit fingerprints of whole passages."""
     from stablegrammar.functions.hashing import wide_fingerprint
