@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -411,6 +412,14 @@ def prefix_free_dictionary(spark, sf_dir):
     return baselines.window_phrases(workloads.benchmark(spark, sf_dir)).groupBy("phrase").agg(F.count(F.lit(1)).alias("uses"))
 
 
+_CUTS = "WITH c AS (SELECT item_id AS s, text, length(text) AS n, unnest(range(1, greatest(length(text) - 7, 2))) AS i FROM benchmark), e AS (SELECT s, text, i AS e FROM c WHERE i > 1 AND i <= n - 8 AND ('0x' || md5(text[i:i + 7])[1:8])::BIGINT % 32 = 0 UNION ALL SELECT item_id, text, greatest(length(text) - 7, 1) FROM benchmark), f AS (SELECT s, text, e, lag(e) OVER (PARTITION BY s ORDER BY e) AS b FROM e)"
+
+
+@query(f"{_CUTS} SELECT CASE WHEN b IS NULL THEN text[1:e + 7] ELSE text[b + 8:e + 7] END AS segment, count(*) AS uses FROM f GROUP BY ALL")
+def segment_dictionary(spark, sf_dir):
+    return baselines.segments(workloads.benchmark(spark, sf_dir)).groupBy("segment").agg(F.count(F.lit(1)).alias("uses"))
+
+
 @query()
 def segment_groups(spark, sf_dir):
     return baselines.segment_groups(workloads.documents(spark, sf_dir))
@@ -443,17 +452,19 @@ def lz_factors(spark, sf_dir):
 
 @query()
 def tool_comparison(spark, sf_dir):
-    return reports.tool_comparison(workloads.w3(spark, sf_dir), "w3")
+    """The tools on the four collections; greedy pairs, which one process must hold, on the benchmark passages besides."""
+    out = [reports.tool_comparison(workloads.ALL[w](spark, sf_dir), w) for w in ("w1", "w2", "w3", "w4")]
+    return reduce(DataFrame.unionByName, [*out, reports.tool_comparison(workloads.benchmark(spark, sf_dir), "benchmark", greedy=True)])
 
 
 @query()
 def grammar_statistics(spark, sf_dir):
-    return reports.grammar_statistics(workloads.w3(spark, sf_dir), "w3").unionByName(reports.grammar_statistics(workloads.w2(spark, sf_dir), "w2"))
+    return reduce(DataFrame.unionByName, [reports.grammar_statistics(workloads.ALL[w](spark, sf_dir), w) for w in ("w1", "w2", "w3", "w4")])
 
 
 @query()
 def stage_breakdown(spark, sf_dir):
-    return reports.stage_breakdown(workloads.w3(spark, sf_dir), "w3")
+    return reduce(DataFrame.unionByName, [reports.stage_breakdown(workloads.ALL[w](spark, sf_dir), w) for w in ("w1", "w2", "w3", "w4")])
 
 
 @query()
@@ -463,7 +474,7 @@ def memory_shares(spark, sf_dir):
 
 @query()
 def scaling(spark, sf_dir):
-    return reports.scaling(workloads.documents(spark, sf_dir), (1, 4))
+    return reports.scaling(reports.as_text(workloads.w2(spark, sf_dir)), (1, 2, 3, 4))
 
 
 _SEQUENCES = "SELECT l_suppkey::BIGINT AS string_id, row_number() OVER (PARTITION BY l_suppkey ORDER BY l_shipdate, l_orderkey, l_linenumber, l_partkey) AS pos, l_partkey::BIGINT AS code FROM lineitem"

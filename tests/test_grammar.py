@@ -101,6 +101,8 @@ def test_passes(grammar):
     assert mid["runs"] > 0 and mid["G"] - after["G"] == mid["g"] - after["g"] > 0
     assert texts_of(rl) == texts_of(done) == dict(enumerate(TEXTS))
     assert post.single_use(done).isEmpty()
+    loose = post.inline_singletons(rl, protect_roots=False)
+    assert texts_of(loose) == dict(enumerate(TEXTS)) and measures.totals(loose)["G"] <= after["G"]
     paid = measures.totals(post.run_length(grammar, only_if_smaller=True))
     assert paid["G"] <= min(before["G"], mid["G"])
 
@@ -130,8 +132,8 @@ def test_planted_core_survives_in_any_context(spark):
         assert per.where((F.col("level") == level) & (F.col("fp") == fp) & (F.col("exp_len") == e - s)).select("string_id").distinct().count() == 3
 
 
-def test_unstable_labels_break_merging(spark):
-    """Ablation: fingerprints of a build's own labels instead of contents make independent builds disagree."""
+def test_families_of_different_seeds_disagree(spark):
+    """Builds that share no hash family cut differently."""
     text = spark.createDataFrame([(1, "the cat sat on the mat")], "string_id long, text string")
     a, b = build_grammar(text, make_family(seed=1)), build_grammar(text, make_family(seed=2))
     assert not consistency.shape_equal(a, b).isEmpty()
@@ -156,3 +158,47 @@ def test_merge_by_lang_takes_null_languages(spark, tmp_path):
     spark.createDataFrame([(1, "the cat sat on the mat", "en"), (2, "no language was given to this one", None)], "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
     roots = [r["string_id"] for g in queries._parts_by(spark, str(tmp_path), "lang") for r in g.roots.collect()]
     assert sorted(roots) == [1, 2]
+
+
+def test_inlining_equals_one_symbol_at_a_time(spark):
+    texts = ["abcdefghijklmnopqrstuvwxyz" * 3 + f"{i}" for i in range(3)] + ["zyx" * 40, "the quick brown fox jumps over the lazy dog"]
+    g = post.as_items(build_grammar(spark.createDataFrame(list(enumerate(texts)), "string_id long, text string")))
+    rules = {(r["level"], bytes(r["sym"])): [(x["level"], bytes(x["sym"])) for x in r["rhs"]] for r in g.rules.collect()}
+    roots = {(r["root_level"], bytes(r["root_sym"])) for r in g.roots.collect()}
+    while True:
+        uses = {}
+        for rhs in rules.values():
+            for x in rhs:
+                uses[x] = uses.get(x, 0) + 1
+        once = next((x for x, n in uses.items() if n == 1 and x in rules and x not in roots), None)
+        if once is None:
+            break
+        own = rules.pop(once)
+        rules = {k: [y for x in rhs for y in (own if x == once else [x])] for k, rhs in rules.items()}
+    got = {(r["level"], bytes(r["sym"])): [(x["level"], bytes(x["sym"])) for x in r["rhs"]] for r in post.inline_singletons(g).rules.collect()}
+    assert got == rules
+
+
+def test_search_takes_every_pattern(strings, grammar, monkeypatch):
+    monkeypatch.setattr(consistency, "BLOCK", 3)  # several blocks
+    words = ["the cat", "on the mat", "a", "ississ", "xx", "nothing here", "aaaa", "abab"]
+    patterns = strings.sparkSession.createDataFrame(list(enumerate(words)), "pattern_id long, pattern string")
+    want = sorted((p, i, k + 1) for p, w in enumerate(words) for i, t in enumerate(TEXTS) for k in range(len(t)) if t.startswith(w, k))
+    assert sorted(tuple(r) for r in consistency.find_patterns(grammar, strings, patterns).collect()) == want
+    cores = {r["pattern_id"]: r for r in consistency.core_in_occurrences(grammar, strings, patterns).collect()}
+    assert all(r["missing"] == 0 for r in cores.values()) and cores[0]["occurrences"] == sum(p == 0 for p, _, _ in want)
+
+
+def test_symbol_jaccard_without_caps(spark):
+    texts = ["the cat sat on the mat and the dog lay by the door of the old house near the lake"] * 30 + [f"the cat sat on the mat and the dog lay by the door of the old house near the {w}" for w in ("sea", "hill", "wood")] + ["something else altogether is written in this one"]
+    g = build_grammar(spark.createDataFrame(list(enumerate(texts)), "string_id long, text string"))
+    per = {}
+    for r in expand.usage_counts(g, per_string=True).where("level = 1").collect():
+        per.setdefault(r["string_id"], set()).add(bytes(r["sym"]))
+    first = {}
+    for i in sorted(per):
+        first.setdefault(frozenset(per[i]), i)
+    reps = sorted(first.values())
+    want = {(a, b): round(len(per[a] & per[b]) / len(per[a] | per[b]), 6) for a in reps for b in reps if a < b and len(per[a] & per[b]) / len(per[a] | per[b]) >= 0.2}
+    want |= {(first[frozenset(s)], i): 1.0 for i, s in per.items() if first[frozenset(s)] < i}
+    assert {(r["a"], r["b"]): r["jaccard"] for r in consistency.symbol_jaccard(g, 1).collect()} == want

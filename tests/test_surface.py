@@ -1,3 +1,5 @@
+import random
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -81,6 +83,10 @@ def test_baselines(spark, strings):
     for tool in (baselines.lz_codec, baselines.deflate, baselines.reorder_then_lz, baselines.segment_groups):
         r = tool(strings).first()
         assert 0 < r["compressed_bytes"] < r["plain_bytes"]
+    plain = sum(len(t.encode()) for t in TEXTS)
+    for tool in (baselines.lz_codec, baselines.deflate, baselines.segment_groups):
+        assert tool(strings).first() == tool(strings.repartition(5)).first() and tool(strings).first()["plain_bytes"] == plain
+    assert baselines.lz_codec(strings, chunk_bytes=200).first()["compressed_bytes"] == baselines.lz_codec(strings.repartition(7), chunk_bytes=200).first()["compressed_bytes"]
     assert baselines.greedy_pairs([ord(c) for c in "abababab"], 256)[0] == 2
     assert baselines.greedy_pairs([1, 1, 1, 1, 1], 2)[:2] == (1, 5)
     pairs = baselines.pair_replacement(strings).first()
@@ -104,3 +110,17 @@ def test_reports(strings):
     narrow = reports.collision_study(strings, (4, 31)).groupBy("bits").agg(F.sum("collisions").alias("c")).collect()
     by = {r["bits"]: r["c"] for r in narrow}
     assert by[4] > by[31] == 0
+
+
+def test_digram_grammar_spells_its_sequence():
+    rnd = random.Random(1)
+    for _ in range(500):
+        text = [rnd.randrange(rnd.choice([1, 2, 3, 6])) for _ in range(rnd.randrange(0, 60))]
+        g = baselines.DigramGrammar()
+        for c in text:
+            g.append(c)
+        rules = g.rules()
+        spell = lambda r: [y for x in rules[r] for y in ([x] if x >= 0 else spell(-1 - x))]  # noqa: B023, E731
+        assert spell(0) == text
+        uses = [x for rhs in rules.values() for x in rhs if x < 0]
+        assert all(uses.count(-1 - r) > 1 for r in rules if r)
