@@ -43,10 +43,29 @@ def plain_words(plain: Column) -> Column:
     return F.lower(F.regexp_replace(plain, r"(?<![0-9])[^\p{L}\p{N}\s]+|[^\p{L}\p{N}\s]+(?![0-9])", ""))
 
 
-def _windows(words: Column, size: int, *kind: Column) -> Column:
-    """Hashes of all runs of `size` words; a place is an array index. `kind` keeps hashes of plain words apart."""
-    count = F.greatest(F.size(words) - size + 1, F.lit(0))
-    return F.when(count > 0, F.transform(F.sequence(F.lit(1), F.greatest(count, F.lit(1))), lambda i: F.xxhash64(F.slice(words, i, size), *kind))).otherwise(F.array().cast("array<long>"))
+def _word_hashes(words: Column) -> Column:
+    """Each word is hashed once, and windows hash longs: a word is in as many windows as they have words."""
+    return F.transform(words, lambda w: F.xxhash64(w))
+
+
+def _count(n: Column, size: int) -> Column:
+    return F.greatest(n - size + 1, F.lit(0))
+
+
+def _windows(hashes: Column, size: int, *kind: Column) -> Column:
+    """Hashes of all runs of `size` words, given the words' hashes; a place is an array index. `kind` keeps hashes of plain words apart."""
+    count = _count(F.size(hashes), size)
+    return F.when(count > 0, F.transform(F.sequence(F.lit(1), F.greatest(count, F.lit(1))), lambda i: F.xxhash64(F.slice(hashes, i, size), *kind))).otherwise(F.array().cast("array<long>"))
+
+
+def _place(sizes: list[tuple[bool, int]]) -> Column:
+    """struct(_at, _k) of the window at `_pos` of the windows of all kinds laid end to end; plain ones have no values to compare: of length 0."""
+    out, end = F.lit(None), F.lit(0)
+    for literal, k in sizes:
+        start, end = end, end + _count(F.col("_np" if literal else "_nw"), k)
+        here = F.struct((F.col("_pos") - start).alias("_at"), F.lit(0 if literal else k).alias("_k"))
+        out = F.coalesce(out, F.when(F.col("_pos") < end, here))
+    return out
 
 
 def _consistent(pairs: DataFrame, found: DataFrame, places: DataFrame, least_share: float) -> DataFrame:
@@ -90,9 +109,9 @@ def contamination(docs: DataFrame, benchmark: DataFrame, *, window: int = WINDOW
     pos = items.select("item_id", "_raw", "_w", "_p", size.alias("_k"), F.explode(F.sequence(F.lit(1), F.size("_w") - size + 1)).alias("_at"))
     placeholders = F.size(F.filter("_win", lambda w: w.rlike("[\x01-\x03]")))
     literal = pos.select("item_id", "_k", F.slice("_p", F.col("_at"), F.col("_k")).alias("_win"))
-    literal = literal.select("item_id", F.lit(True).alias("_plain"), "_k", F.xxhash64("_win", F.lit(_PLAIN)).alias("_h"))
+    literal = literal.select("item_id", F.lit(True).alias("_plain"), "_k", F.xxhash64(_word_hashes(F.col("_win")), F.lit(_PLAIN)).alias("_h"))
     places = pos.select("item_id", "_k", "_at", F.slice("_w", F.col("_at"), F.col("_k")).alias("_win"), F.slice("_raw", F.col("_at"), F.col("_k")).alias("_values"))
-    places = settled(places.where("_k >= 4").where(2 * placeholders < F.col("_k")).withColumn("_h", F.xxhash64("_win")))
+    places = settled(places.where("_k >= 4").where(2 * placeholders < F.col("_k")).withColumn("_h", F.xxhash64(_word_hashes(F.col("_win")))))
     bench = literal.unionByName(places.select("item_id", F.lit(False).alias("_plain"), "_k", "_h"))
     bench = settled(bench.groupBy("item_id", "_plain", "_k", "_h").agg(F.when(F.col("_plain"), F.count(F.lit(1))).otherwise(F.lit(1)).alias("_n")))
     sizes = sorted((r[0], r[1]) for r in bench.select("_plain", "_k").distinct().collect())  # at most `window` numbers of each kind
@@ -102,11 +121,12 @@ def contamination(docs: DataFrame, benchmark: DataFrame, *, window: int = WINDOW
 
     plain = docs.where(F.col(id_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), _only_words(F.col(text_col)).alias("_t"))
     words = plain.select("doc_id", F.split(template(F.col("_t")), " ").alias("_w"), F.split(plain_words(F.col("_t")), " ").alias("_p"))
+    words = words.select("doc_id", _word_hashes(F.col("_w")).alias("_w"), _word_hashes(F.col("_p")).alias("_p"))
     of = lambda literal, k: _windows(F.col("_p"), k, F.lit(_PLAIN)) if literal else _windows(F.col("_w"), k)
-    # plain windows have no values to compare: of length 0
-    placed = lambda literal, k: F.transform(of(literal, k), lambda h, i: F.struct(h.alias("_h"), i.alias("_at"), F.lit(0 if literal else k).alias("_k")))
-    hashed = words.select("doc_id", F.concat(*(placed(*x) for x in sizes)).alias("_all")).select("doc_id", F.explode_outer("_all").alias("_x")).select("doc_id", "_x.*")
-    at = settled(hashed.join(keys, "_h").groupBy("doc_id").agg(F.collect_set(F.struct("_h", "_at", "_k")).alias("_found")))  # of one document: as many as its windows
+    laid = words.select("doc_id", F.size("_w").alias("_nw"), F.size("_p").alias("_np"), F.concat(*(of(*x) for x in sizes)).alias("_all"))
+    hashed = laid.select("doc_id", "_nw", "_np", F.posexplode_outer("_all").alias("_pos", "_h"))
+    met = hashed.join(keys, "_h").select("doc_id", "_h", _place(sizes).alias("_x")).select("doc_id", "_h", "_x.*")
+    at = settled(met.groupBy("doc_id").agg(F.collect_set(F.struct("_h", "_at", "_k")).alias("_found")))  # of one document: as many as its windows
     hit = plain.join(small_or_shuffled(settled(at.select("doc_id"))), "doc_id", "left_semi")  # ids alone may be broadcast
     found = hit.join(at.hint("merge"), "doc_id").select("doc_id", F.split("_t", " ").alias("_raw"), F.explode("_found").alias("_x"))
     found = settled(found.select("doc_id", "_x._h", "_x._at", F.slice("_raw", F.col("_x._at") + 1, F.col("_x._k")).alias("_own")).distinct())
