@@ -22,9 +22,14 @@ _PLAIN = "plain"
 UNITS = "mm|cm|m|km|mg|g|kg|t|ml|l|s|ms|min|h|hours?|minutes?|seconds?|days?|weeks?|months?|years?|miles?|feet|inch(?:es)?|pounds?|dollars?|euros?|percent|mph|kmh|usd|eur"
 
 
+#: A character that is neither letter, digit nor white space. Patterns begin with it, or with a digit or capital, so that most characters fail at once.
+_MARK = r"[^\p{L}\p{N}\s]"
+
+
 def _only_words(text: Column) -> Column:
     """Without marks that stand alone, and without white space at the ends: words are then what is between white space."""
-    return F.trim(F.regexp_replace(F.regexp_replace(text, r"[^\p{L}\p{N}\s]+(?=\s|$)", " "), r"\s+", " "))
+    bare = F.regexp_replace(text, rf"({_MARK}++(?!\s|$))|{_MARK}++", "$1")  # each run is read once
+    return F.trim(F.regexp_replace(bare, r"\s{2,}|[^\S ]", " "))
 
 
 def template(plain: Column) -> Column:
@@ -32,15 +37,15 @@ def template(plain: Column) -> Column:
 
     A capitalised word is a name at a text's start too, as it is there in the middle of another text.
     """
-    units = F.regexp_replace(plain, rf"(?<=\d)( ?)(?i:{UNITS})(?![\p{{L}}\p{{N}}])", "$1\u0001")
+    units = F.regexp_replace(plain, rf"(\d ?)(?i:{UNITS})(?![\p{{L}}\p{{N}}])", "$1\u0001")
     numbers = F.regexp_replace(units, r"\d+(?:[.,:/]\d+)*", "\u0002")
     names = F.regexp_replace(numbers, r"\p{Lu}(?<=(?:^|[\p{L}\p{N},;:\x01\x02] )[^\p{L}\p{N}\s\x01-\x03]{0,2}\p{Lu})[\p{L}'-]*", "\u0003")
     return F.lower(F.regexp_replace(names, r"[^\p{L}\p{N}\s\x01-\x03]+", ""))
 
 
 def plain_words(plain: Column) -> Column:
-    """Lower-case words of a text from _only_words, without placeholders; of marks only those between digits stay."""
-    return F.lower(F.regexp_replace(plain, r"(?<![0-9])[^\p{L}\p{N}\s]+|[^\p{L}\p{N}\s]+(?![0-9])", ""))
+    """Lower-case words of a text from _only_words, without placeholders; of marks only single ones between digits stay."""
+    return F.lower(F.regexp_replace(plain, rf"([0-9]{_MARK}(?=[0-9]))|{_MARK}++", "$1"))
 
 
 def _word_hashes(words: Column) -> Column:
@@ -48,24 +53,28 @@ def _word_hashes(words: Column) -> Column:
     return F.transform(words, lambda w: F.xxhash64(w))
 
 
-def _count(n: Column, size: int) -> Column:
-    return F.greatest(n - size + 1, F.lit(0))
+def _windows(words: DataFrame, lengths: list[int]) -> DataFrame:
+    """(doc_id, _h, _at, _k) of all windows of the given lengths, from word hashes _w of templates and _p of plain words.
 
+    Both arrays lie end to end, and each place hashes the slices that begin there: no function runs over an array, so that slices and
+    hashes are compiled. Plain windows have no values to compare: their length is 0.
+    """
+    laid = words.select("doc_id", F.size("_w").alias("_nw"), F.concat("_w", "_p").alias("_all"))
+    places = laid.select("doc_id", "_nw", "_all", F.posexplode("_all").alias("_pos", "_"))
+    literal = F.col("_pos") >= F.col("_nw")
+    end = F.when(literal, F.size("_all")).otherwise(F.col("_nw"))
 
-def _windows(hashes: Column, size: int, *kind: Column) -> Column:
-    """Hashes of all runs of `size` words, given the words' hashes; a place is an array index. `kind` keeps hashes of plain words apart."""
-    count = _count(F.size(hashes), size)
-    return F.when(count > 0, F.transform(F.sequence(F.lit(1), F.greatest(count, F.lit(1))), lambda i: F.xxhash64(F.slice(hashes, i, size), *kind))).otherwise(F.array().cast("array<long>"))
-
+    def window(k: int) -> tuple[Column, Column]:
+        run = F.slice("_all", F.col("_pos") + 1, k)
+        h = F.when(F.col("_pos") + k <= end, F.when(literal, F.xxhash64(run, F.lit(_PLAIN))).otherwise(F.xxhash64(run)))
+        return h.alias("_h"), F.when(literal, 0).otherwise(k).alias("_k")
 
-def _place(sizes: list[tuple[bool, int]]) -> Column:
-    """struct(_at, _k) of the window at `_pos` of the windows of all kinds laid end to end; plain ones have no values to compare: of length 0."""
-    out, end = F.lit(None), F.lit(0)
-    for literal, k in sizes:
-        start, end = end, end + _count(F.col("_np" if literal else "_nw"), k)
-        here = F.struct((F.col("_pos") - start).alias("_at"), F.lit(0 if literal else k).alias("_k"))
-        out = F.coalesce(out, F.when(F.col("_pos") < end, here))
-    return out
+    at = F.when(literal, F.col("_pos") - F.col("_nw")).otherwise(F.col("_pos")).alias("_at")
+    if len(lengths) == 1:
+        out = places.select("doc_id", at, *window(lengths[0]))
+    else:
+        out = places.select("doc_id", at, F.inline(F.array(*(F.struct(*window(k)) for k in lengths))))
+    return out.where("_h is not null")
 
 
 def _consistent(pairs: DataFrame, found: DataFrame, places: DataFrame, least_share: float) -> DataFrame:
@@ -114,18 +123,13 @@ def contamination(docs: DataFrame, benchmark: DataFrame, *, window: int = WINDOW
     places = settled(places.where("_k >= 4").where(2 * placeholders < F.col("_k")).withColumn("_h", F.xxhash64(_word_hashes(F.col("_win")))))
     bench = literal.unionByName(places.select("item_id", F.lit(False).alias("_plain"), "_k", "_h"))
     bench = settled(bench.groupBy("item_id", "_plain", "_k", "_h").agg(F.when(F.col("_plain"), F.count(F.lit(1))).otherwise(F.lit(1)).alias("_n")))
-    sizes = sorted((r[0], r[1]) for r in bench.select("_plain", "_k").distinct().collect())  # at most `window` numbers of each kind
-    if not sizes:
-        sizes = [(False, window)]
+    lengths = sorted(r[0] for r in bench.select("_k").distinct().collect()) or [window]  # at most `window` numbers
     keys = small_or_shuffled(settled(bench.select("_h").distinct()))
 
     plain = docs.where(F.col(id_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), _only_words(F.col(text_col)).alias("_t"))
     words = plain.select("doc_id", F.split(template(F.col("_t")), " ").alias("_w"), F.split(plain_words(F.col("_t")), " ").alias("_p"))
     words = words.select("doc_id", _word_hashes(F.col("_w")).alias("_w"), _word_hashes(F.col("_p")).alias("_p"))
-    of = lambda literal, k: _windows(F.col("_p"), k, F.lit(_PLAIN)) if literal else _windows(F.col("_w"), k)
-    laid = words.select("doc_id", F.size("_w").alias("_nw"), F.size("_p").alias("_np"), F.concat(*(of(*x) for x in sizes)).alias("_all"))
-    hashed = laid.select("doc_id", "_nw", "_np", F.posexplode_outer("_all").alias("_pos", "_h"))
-    met = hashed.join(keys, "_h").select("doc_id", "_h", _place(sizes).alias("_x")).select("doc_id", "_h", "_x.*")
+    met = _windows(words, lengths).join(keys, "_h")
     at = settled(met.groupBy("doc_id").agg(F.collect_set(F.struct("_h", "_at", "_k")).alias("_found")))  # of one document: as many as its windows
     hit = plain.join(small_or_shuffled(settled(at.select("doc_id"))), "doc_id", "left_semi")  # ids alone may be broadcast
     found = hit.join(at.hint("merge"), "doc_id").select("doc_id", F.split("_t", " ").alias("_raw"), F.explode("_found").alias("_x"))
