@@ -28,8 +28,8 @@ _MARK = r"[^\p{L}\p{N}\s]"
 
 def _only_words(text: Column) -> Column:
     """Without marks that stand alone, and without white space at the ends: words are then what is between white space."""
-    bare = F.regexp_replace(text, rf"({_MARK}++(?!\s|$))|{_MARK}++", "$1")  # each run is read once
-    return F.trim(F.regexp_replace(bare, r"\s{2,}|[^\S ]", " "))
+    run = rf"{_MARK}(?:(?<!{_MARK}{{2}})|(?<=[\uDC00-\uDFFF]{_MARK})){_MARK}*+(?=\s|$)"  # tried where a run begins, or after a code point of two chars
+    return F.trim(F.regexp_replace(F.regexp_replace(text, run, ""), r"\s(?:\s++|(?<! ))", " "))
 
 
 def template(plain: Column) -> Column:
@@ -45,7 +45,7 @@ def template(plain: Column) -> Column:
 
 def plain_words(plain: Column) -> Column:
     """Lower-case words of a text from _only_words, without placeholders; of marks only single ones between digits stay."""
-    return F.lower(F.regexp_replace(plain, rf"([0-9]{_MARK}(?=[0-9]))|{_MARK}++", "$1"))
+    return F.lower(F.regexp_replace(plain, rf"{_MARK}(?:{_MARK}++|(?<![0-9]{_MARK}{{1,2}})|(?![0-9]))", ""))
 
 
 def _word_hashes(words: Column) -> Column:
