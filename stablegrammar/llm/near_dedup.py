@@ -23,6 +23,12 @@ BANDS, ROWS = 28, 6
 MISSED = 3e-6
 #: Turns in which each bucket that spans components is compared with one hub of its own, before what is left is joined exactly.
 HUB_TURNS = 2
+#: Documents that share a prefix shingle are compared in pairs up to this number; larger crowds by what sets them apart from their centre.
+CROWD = 64
+#: Turns in which crowds get centres; what is crowded still is then compared in pairs.
+CENTRE_TURNS = 3
+#: About so many documents of a crowd, drawn by hash, say where its centre lies. Any centre gives the same links; a near one gives less work.
+CENTRE_OF = 15
 #: SetSketch parameters: base of the steps, rate of the exponentials, number of steps.
 BASE, RATE, STEPS = 1.001, 20.0, 65_534
 _MASK = (1 << 64) - 1
@@ -179,40 +185,122 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, percent: int, words: int) -> D
     return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "ta", "tb").mapInArrow(kernel, "a long, b long")
 
 
-def _prefixes(reps: DataFrame, docs: DataFrame, percent: int, words: int) -> DataFrame:
-    """(rep, n, shingle, at): the first n - ceil(n * percent / 100) + 1 shingles of each document, from rare to frequent, `at` from 1.
-
-    Shingles that only one of these documents has take the first places but aren't returned: nothing can meet there.
-    """
+def _sets(ids: DataFrame, docs: DataFrame, words: int) -> DataFrame:
+    """(rep, own) of the documents that ids(doc_id) names: their shingles, unless there are none."""
 
     def kernel(lists: Iterator) -> Iterator[dict]:
         shingles = Shingler(words)
         for ids, held in lists:
             yield {"rep": ids, "own": [shingles(t).view(np.int64) for t in held]}
 
-    ids = small_or_shuffled(settled(reps.select(F.col("rep").alias("doc_id"))))
-    sets = map_texts(docs.join(ids, "doc_id", "left_semi").select("doc_id", "text"), kernel, "rep long, own array<long>")
-    each = settled(sets.where("size(own) > 0").select("rep", F.size("own").cast("long").alias("n"), F.explode("own").alias("shingle")))
-    common = settled(each.groupBy("shingle").agg(F.count(F.lit(1)).alias("df")).where("df > 1"))
-    mine = each.join(common, "shingle").select("rep", "n", "shingle", "df")
-    by_rep = Window.partitionBy("rep", "n")
-    alone = F.col("n") - F.count(F.lit(1)).over(by_rep)
-    ranked = mine.withColumn("at", F.row_number().over(by_rep.orderBy("df", "shingle")) + alone)
-    return ranked.where(f"at <= n - cast(ceil(n * {percent} / 100) as long) + 1").select("rep", "n", "shingle", "at")
+    mine = docs.join(small_or_shuffled(settled(ids)), "doc_id", "left_semi")
+    return map_texts(mine.select("doc_id", "text"), kernel, "rep long, own array<long>").where("size(own) > 0")
+
+
+def _from_rare(each: DataFrame, within: list[str], own: list[str], size: str) -> DataFrame:
+    """each(..., shingle) with `at`: the shingle's place, from 1, in its set, which `own` names, from rare to frequent within groups.
+
+    Shingles that only one set of a group has take the first places but aren't returned: nothing can meet there.
+    """
+    common = settled(each.groupBy(*within, "shingle").agg(F.count(F.lit(1)).alias("df")).where("df > 1"))
+    mine = each.join(common, [*within, "shingle"])
+    by_set = Window.partitionBy(*within, *own, size)
+    alone = F.col(size) - F.count(F.lit(1)).over(by_set)
+    return mine.withColumn("at", F.row_number().over(by_set.orderBy("df", "shingle")) + alone).drop("df")
+
+
+def _prefixes(reps: DataFrame, docs: DataFrame, percent: int, words: int) -> DataFrame:
+    """(rep, n, shingle, at): the first n - ceil(n * percent / 100) + 1 shingles of each document, from rare to frequent, `at` from 1."""
+    sets = _sets(reps.select(F.col("rep").alias("doc_id")), docs, words)
+    each = settled(sets.select("rep", F.size("own").cast("long").alias("n"), F.explode("own").alias("shingle")))
+    return _from_rare(each, [], ["rep"], "n").where(f"at <= n - cast(ceil(n * {percent} / 100) as long) + 1").select("rep", "n", "shingle", "at")
+
+
+def _with_partners(placed: DataFrame, percent: int) -> DataFrame:
+    """Rows (rep, root, n, shingle, at) whose place leaves room for a link with the sizes and places that their shingle's rows have."""
+    room = (100 + percent) * (F.col("n") - F.col("at") + 1)
+    best = placed.groupBy("shingle").agg(F.min("n").alias("_n"), F.max(room - percent * F.col("n")).alias("_room"))
+    least = F.greatest("_n", F.ceil(F.col("n") * percent / 100))
+    met = placed.join(settled(best), "shingle").where((room >= percent * (F.col("n") + least)) & (F.col("_room") >= percent * F.col("n")))
+    return settled(met.drop("_n", "_room"))
+
+
+def _lists(placed: DataFrame, by: list[str]) -> DataFrame:
+    """Rows whose key has documents of several components, with the key's number of rows and one of its documents, drawn by hash."""
+    keys = placed.groupBy(*by).agg(F.min("root").alias("_lo"), F.max("root").alias("_hi"), F.count(F.lit(1)).alias("_rows"), F.min_by("rep", F.xxhash64("rep")).alias("_hub"))
+    return settled(placed.join(settled(keys.where("_lo < _hi").select(*by, "_rows", "_hub")), by))
+
+
+def _crowds(lists: DataFrame) -> DataFrame:
+    """(g, rep, root): documents of the lists that are too long for pairs. Lists that drew the same document are one crowd."""
+    return settled(lists.where(f"_rows > {CROWD}").select(F.col("_hub").alias("g"), "rep", "root").distinct())
+
+
+def _apart_from_centre(crowds: DataFrame, docs: DataFrame, percent: int, words: int) -> DataFrame:
+    """(g, rep, root, own, v, d, delta, least) of crowds(g, rep, root): how each document differs from its crowd's centre.
+
+    The centre holds the shingles that more than half of some of the crowd have, and delta is the symmetric difference, of d shingles. With v = (100 +
+    percent) * d - (100 - percent) * n, two documents link exactly if 2 * (100 + percent) * |their deltas' intersection| >= the sum of
+    their v. `least` is the crowd's smallest (v, rep, root), and `own` tells apart the sets of rows that share an id.
+    """
+    sizes = settled(crowds.groupBy("g").agg(F.count(F.lit(1)).alias("_size")))
+    sets = settled(_sets(crowds.select(F.col("rep").alias("doc_id")).distinct(), docs, words).dropDuplicates(["rep", "own"]))
+    held = crowds.join(sets, "rep")
+    drawn = crowds.join(sizes, "g").where(F.pmod(F.xxhash64("g", "rep"), F.ceil(F.col("_size") / CENTRE_OF)) == 0)
+    drawn = settled(drawn.join(drawn.groupBy("g").agg(F.count(F.lit(1)).alias("_drawn")), "g").select("g", "rep", "_drawn"))
+    each = drawn.join(sets, "rep").select("g", "_drawn", F.explode("own").alias("shingle"))
+    centre = each.groupBy("g", "_drawn", "shingle").agg(F.count(F.lit(1)).alias("_n")).where("2 * _n > _drawn").groupBy("g").agg(F.collect_list("shingle").alias("_c"))
+    none = F.array().cast("array<long>")
+    both = held.join(settled(centre), "g", "left").withColumn("_c", F.coalesce("_c", none))
+    delta = both.select("g", "rep", "root", F.xxhash64("own").alias("own"), F.size("own").cast("long").alias("n"), F.concat(F.array_except("own", "_c"), F.array_except("_c", "own")).alias("delta"))
+    delta = delta.withColumn("d", F.size("delta").cast("long")).withColumn("v", (100 + percent) * F.col("d") - (100 - percent) * F.col("n")).drop("n")
+    delta = settled(delta)
+    least = settled(delta.groupBy("g").agg(F.min(F.struct("v", "rep", "root")).alias("least")))
+    return settled(delta.join(least, "g"))
+
+
+def _linked_in_crowds(crowds: DataFrame, docs: DataFrame, percent: int, words: int) -> DataFrame:
+    """Pairs of documents of a crowd that join components as all its links do: no pair that links is between components that these leave apart.
+
+    Pairs whose v add up to 0 at most link, and both then link with the document of the least v: these links make a star. All others that
+    link share shingles of their deltas, of which near copies have few, so that prefix filtering over deltas tells apart what whole sets
+    don't. Lists of it that are crowded again get centres of their own.
+    """
+    out, twice = None, 2 * (100 + percent)
+    for turn in range(CENTRE_TURNS):
+        delta = _apart_from_centre(crowds, docs, percent, words)
+        pairs = delta.where("v + least.v <= 0 and root <> least.root").select(F.least("rep", "least.rep").alias("a"), F.greatest("rep", "least.rep").alias("b"))
+        each = settled(delta.select("g", "rep", "root", "own", "v", "d", F.col("least.v").alias("_v"), F.explode("delta").alias("shingle")))
+        ranked = _from_rare(each, ["g"], ["rep", "own"], "d")
+        lists = _lists(ranked.where(f"at <= d - greatest(1, cast(ceil((v + _v) / {twice}) as long)) + 1"), ["g", "shingle"])
+        short = lists if turn == CENTRE_TURNS - 1 else lists.where(f"_rows <= {CROWD}")
+        side = lambda c: short.select("g", "shingle", *(F.col(x).alias(x + c) for x in ("rep", "root", "v", "d", "at")))  # noqa: E731, B023
+        apart = "repa < repb and roota <> rootb and va + vb > 0"
+        first = f"{twice} * (1 + least(da - ata, db - atb)) >= va + vb"
+        met = side("a").hint("merge").join(side("b"), ["g", "shingle"]).where(f"{apart} and {first}")
+        met = settled(met.select("g", F.col("repa").alias("a"), F.col("repb").alias("b")).distinct())
+        of = lambda c: delta.select("g", F.col("rep").alias(c), *(F.col(x).alias(x + c) for x in ("v", "delta")))  # noqa: E731, B023
+        both = met.join(of("a"), ["g", "a"]).join(of("b"), ["g", "b"])
+        pairs = settled(pairs.unionByName(both.where(f"{twice} * size(array_intersect(deltaa, deltab)) >= va + vb").select("a", "b")).distinct())
+        out = pairs if out is None else out.unionByName(pairs)
+        crowds = _crowds(lists)
+        if crowds.isEmpty():
+            break
+    return out
 
 
 def _sharing_prefix(reps: DataFrame, docs: DataFrame, percent: int, words: int) -> DataFrame:
     """Pairs of reps(rep, root) in different components that may link: exact prefix filtering.
 
     Linked sets share a shingle of both prefixes, and what follows the first shared one bounds the overlap. Rows of that join hold ids,
-    sizes and places only, so memory for a document grows with its prefix; a frequent shingle meets by sort-merge, whose skewed keys
-    AQE splits. The prefixes' whole intersection then bounds the overlap of the pairs that are left, whose prefixes alone are fetched.
+    sizes and places only, so memory for a document grows with its prefix. The prefixes' whole intersection then bounds the overlap of the
+    pairs that are left, whose prefixes alone are fetched. Where more than CROWD documents share a prefix shingle, pairs would grow with
+    the square of their number: they are compared by what sets them apart from their common centre.
     """
     prefix = settled(_prefixes(reps, docs, percent, words))
-    placed = prefix.join(reps, "rep")
-    open_keys = placed.groupBy("shingle").agg(F.min("root").alias("_lo"), F.max("root").alias("_hi")).where("_lo < _hi").select("shingle")
-    rest = settled(placed.join(open_keys, "shingle"))
-    side = lambda c: rest.select("shingle", *(F.col(x).alias(x + c) for x in ("rep", "root", "n", "at")))
+    lists = _lists(_with_partners(settled(prefix.join(reps, "rep")), percent), ["shingle"])
+    short = lists.where(f"_rows <= {CROWD}")
+    side = lambda c: short.select("shingle", *(F.col(x).alias(x + c) for x in ("rep", "root", "n", "at")))
     apart = "repa < repb and roota <> rootb"
     sizes = f"100 * least(na, nb) >= {percent} * greatest(na, nb)"
     first = f"{100 + percent} * (1 + least(na - ata, nb - atb)) >= {percent} * (na + nb)"
@@ -226,7 +314,9 @@ def _sharing_prefix(reps: DataFrame, docs: DataFrame, percent: int, words: int)
     last = F.element_at("_common", -1)
     beyond = lambda c: F.col(f"n{c}") - F.col(f"u{c}") - F.array_position(F.col(f"p{c}"), last)
     reach = F.size("_common") + F.least(beyond("a"), beyond("b"))
-    return both.where((100 + percent) * reach >= percent * (F.col("na") + F.col("nb"))).select("a", "b")
+    pairs = both.where((100 + percent) * reach >= percent * (F.col("na") + F.col("nb"))).select("a", "b")
+    crowds = _crowds(lists)
+    return pairs if crowds.isEmpty() else pairs.unionByName(_linked_in_crowds(crowds, docs, percent, words)).distinct()
 
 
 def near_duplicates(docs: DataFrame, *, percent: int = 85, words: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
