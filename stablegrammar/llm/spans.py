@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterable, Iterator
+from itertools import accumulate
 from zlib import crc32
 
 import numpy as np
@@ -13,7 +14,8 @@ from pyspark.sql import functions as F
 
 from stablegrammar.llm.common import map_texts, settled, texts
 
-_END = re.compile(r"[.!?]+(?=\s)\s*|\n+\s*")
+#: Marks before white space, or line ends; it begins with one class of characters, for which the search looks fast.
+_END = re.compile(r"[.!?\n](?:(?<=\n)|[.!?]*(?=\s))\s*")
 _WORD = re.compile(r"\S+")
 #: A sentence of more words counts as several parts of at most so many, cut where its words say so.
 LONG = 16
@@ -25,27 +27,51 @@ def _cuts(words: list[str]) -> list[int]:
     They depend on the words near by alone, so the parts of a passage agree again after at most so many words, whatever stands before it.
     Runs of one repeated word, where no place differs from the next, are cut after every LONG words.
     """
-    hashes = [crc32(f"{x} {y}".encode("utf-8", "surrogatepass")) for x, y in zip(words, [*words[1:], ""], strict=True)]
-    out, last, at = [], 0, 0
-    for end in range(1, len(words)):
-        if at <= end - LONG + 1:  # the least one has left: the last least one of what remains
-            at = min(range(end, end - LONG + 1, -1), key=hashes.__getitem__)
-        elif hashes[end] <= hashes[at] or at == 0:
-            at = end
-        if end >= LONG - 1 and at > last and (hashes[at] != hashes[at - 1] or at - last >= LONG):
+    bare = "\n".join(words).encode("utf-8", "surrogatepass")
+    spaced = (bare.replace(b"\n", b" \n") + b" ").split(b"\n")
+    hashes = list(map(crc32, [*bare.split(b"\n")[1:], b""], map(crc32, spaced)))  # of "word next"
+    if len(words) < LONG:
+        return []
+    out, last = [], 0
+
+    def least(end: int) -> tuple[int, int]:
+        window = hashes[end : end - LONG + 1 : -1]
+        return (low := min(window)), end - window.index(low)
+
+    low, at = least(LONG - 1)
+    for end, h in enumerate([low, *hashes[LONG:]], LONG - 1):
+        if end >= LONG:
+            if h <= low:
+                low, at = h, end
+            elif at <= end - LONG + 1:  # the least one has left: the last least one of what remains
+                low, at = least(end)
+            else:
+                continue
+        if at > last and (hashes[at] != hashes[at - 1] or at - last >= LONG):
             out.append(at)
             last = at
     return out
 
 
+def _starts(text: str, a: int, b: int, words: list[str]) -> list[int]:
+    """Where the words of text[a:b] begin; where one character of white space stands between any two, their lengths tell."""
+    if text.startswith(words[0], a) and sum(map(len, words)) + len(words) - 1 == len(text[a:b].rstrip()):
+        return [x + k for k, x in enumerate(accumulate(map(len, words[:-1]), initial=a))]
+    return [m.start() for m in _WORD.finditer(text, a, b)]
+
+
 def sentences(text: str) -> list[tuple[int, int]]:
     """Half-open code-point ranges that tile the text: sentences with the white space after them; long ones in parts of up to LONG words."""
     out, a = [], 0
     for b in [*(m.end() for m in _END.finditer(text)), len(text)]:
         if b > a:
-            words = list(_WORD.finditer(text, a, b)) if b - a > 2 * LONG else ()
-            cuts = [words[k].start() for k in _cuts([m.group() for m in words])] if len(words) > LONG else []
-            out += zip([a, *cuts], [*cuts, b], strict=True)
+            words = text[a:b].split() if b - a > 2 * LONG else ()
+            if len(words) > LONG:
+                starts = _starts(text, a, b, words)
+                cuts = [starts[k] for k in _cuts(words)]
+                out += zip([a, *cuts], [*cuts, b], strict=True)
+            else:
+                out.append((a, b))
         a = max(a, b)
     return out
 
@@ -94,6 +120,8 @@ def _without_repeats(text: str, marks: list[dict], run: int, least_words: int) -
     A mark holds only where the text's own run has its hash: rows that share an id but not the text don't lose each other's places.
     """
     s = sentences(text)
+    if not marks:
+        return len(s), 0, 0, [], text
     marks = [m for m in marks if m["at"] + run <= len(s)]
     near = {k: _words(text, *s[k]) for m in marks for k in range(m["at"], m["at"] + run)}
     own = [int(_run_hashes([near[m["at"] + d] for d in range(run)], (0,), run)[0, 1]) for m in marks]
