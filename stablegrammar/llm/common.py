@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import shutil
 import tempfile
 import uuid
@@ -15,6 +16,8 @@ from pyspark.sql import functions as F
 
 #: A side of a join is broadcast only if a count shows at most so many rows of fixed width.
 BROADCAST_ROWS = 500_000
+#: Rows of one Arrow batch at most. Spark's buffers for a batch of texts grow by doubling, outside its heap, and Python holds two batches.
+ARROW_ROWS = 1_000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -51,6 +54,21 @@ def settled(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def small_batches(spark: SparkSession) -> None:
+    """Bound the rows of the session's Arrow batches, which is a matter of memory only; a lower bound stays. Zero or less there means no bound."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name)) <= ARROW_ROWS:
+        spark.conf.set(name, str(ARROW_ROWS))
+
+
+def give_back() -> None:
+    """Return a worker's free memory to the system when its task ends: Spark keeps idle workers, beside stages that don't use them."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # of glibc
+    if trim:
+        trim(0)
+
+
 def unused(columns: list[str], name: str) -> str:
     """A column name that none of the columns has."""
     taken = {c.lower() for c in columns}
@@ -87,11 +105,13 @@ def map_texts(df: DataFrame, kernel: Callable[[Iterator[tuple[list, list[str]]]]
 
         for out in kernel(lists()):
             yield pa.RecordBatch.from_pydict(out, schema=arrow)
+        give_back()
 
     from pyspark.sql.pandas.types import to_arrow_schema
     from pyspark.sql.types import _parse_datatype_string
 
     arrow = to_arrow_schema(_parse_datatype_string(schema))
+    small_batches(df.sparkSession)
     return df.mapInArrow(run, schema)
 
 

@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from stablegrammar.llm.common import map_texts, settled, small_or_shuffled, texts
+from stablegrammar.llm.common import give_back, map_texts, settled, small_batches, small_or_shuffled, texts
 from stablegrammar.llm.components import components
 
 BANDS, ROWS = 28, 6
@@ -29,6 +29,8 @@ CROWD = 64
 CENTRE_TURNS = 3
 #: About so many documents of a crowd, drawn by hash, say where its centre lies. Any centre gives the same links; a near one gives less work.
 CENTRE_OF = 15
+#: UTF-8 bytes of the texts that a kernel takes at once, and words whose hashes it keeps: a worker's memory grows with both.
+BATCH_BYTES, CACHED_WORDS = 1 << 20, 100_000
 #: SetSketch parameters: base of the steps, rate of the exponentials, number of steps.
 BASE, RATE, STEPS = 1.001, 20.0, 65_534
 _MASK = (1 << 64) - 1
@@ -43,7 +45,7 @@ def _mix(x: np.ndarray) -> np.ndarray:
 class Shingler:
     """Sets of hashed word shingles: A-Z in lower case, words between ASCII white space; a shorter text is one shingle."""
 
-    def __init__(self, words: int = 5, cached: int = 500_000):
+    def __init__(self, words: int = 5, cached: int = CACHED_WORDS):
         self.words, self.cached, self.cache = words, cached, {}
         self.factors = _mix(np.arange(1, words + 1, dtype=np.uint64)) | np.uint64(1)
 
@@ -130,7 +132,7 @@ def sketch(docs: DataFrame, words: int = 5) -> DataFrame:
                     keys[i], regs[i] = f"{x:016x}{y:016x}{sizes[i]:x}", z.tobytes()
             yield {"doc_id": ids, "n": sizes.tolist(), "set_key": keys, "regs": regs}
 
-    return map_texts(docs, kernel, "doc_id long, n long, set_key string, regs binary")
+    return map_texts(docs, kernel, "doc_id long, n long, set_key string, regs binary", BATCH_BYTES)
 
 
 def _banded(reps: DataFrame, bands: int, rows: int) -> DataFrame:
@@ -178,6 +180,8 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, percent: int, words: int) -> D
                 both = len(np.intersect1d(own, kept[1], assume_unique=True))
                 ok.append(both > 0 and 100 * both >= percent * (len(own) + len(kept[1]) - both))
             yield pa.RecordBatch.from_arrays([x.column("a"), x.column("b")], ["a", "b"]).filter(pa.array(ok, pa.bool_()))
+        del shingles
+        give_back()
 
     ids = settled(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct())
     docs = docs.join(small_or_shuffled(ids), "doc_id")
@@ -194,7 +198,7 @@ def _sets(ids: DataFrame, docs: DataFrame, words: int) -> DataFrame:
             yield {"rep": ids, "own": [shingles(t).view(np.int64) for t in held]}
 
     mine = docs.join(small_or_shuffled(settled(ids)), "doc_id", "left_semi")
-    return map_texts(mine.select("doc_id", "text"), kernel, "rep long, own array<long>").where("size(own) > 0")
+    return map_texts(mine.select("doc_id", "text"), kernel, "rep long, own array<long>", BATCH_BYTES).where("size(own) > 0")
 
 
 def _from_rare(each: DataFrame, within: list[str], own: list[str], size: str) -> DataFrame:
@@ -331,6 +335,7 @@ def near_duplicates(docs: DataFrame, *, percent: int = 85, words: int = 5, id_co
     an empty table gives an empty result. Texts of any length are compared whole. Candidates come from 28 bands of 6 registers at 85 %, 33 of 5 at 80 %: a pair at the
     threshold is missed with a probability of about 2 in a million.
     """
+    small_batches(docs.sparkSession)
     own = texts(docs, id_col, text_col)
     sketches = settled(sketch(own, words))
     reps = settled(sketches.where("n > 0 and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("regs").alias("regs")))
