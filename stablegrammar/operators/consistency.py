@@ -11,7 +11,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from stablegrammar.functions.hashing import HashFamily
+from stablegrammar.functions.hashing import HashFamily, make_family
+from stablegrammar.operators import rule_stats
 from stablegrammar.operators.build import breaks_numpy
 from stablegrammar.operators.lineage import settled
 from stablegrammar.operators.model import Grammar
@@ -156,6 +157,20 @@ def find_patterns(g: Grammar, strings: DataFrame, patterns: DataFrame) -> DataFr
         everywhere.append(last)
     held = reduce(DataFrame.unionByName, everywhere).join(g.roots, (F.col("level") == F.col("root_level")) & (F.col("sym") == F.col("root_sym")))
     held = held.select("pattern_id", "string_id").distinct().join(patterns, "pattern_id").join(strings.select("string_id", "text"), "string_id")
+    return _occurrences(strings, patterns, anchors, held)
+
+
+def find_patterns_unstored(strings: DataFrame, patterns: DataFrame, family: HashFamily | None = None) -> DataFrame:
+    """The rows of find_patterns, for one search of strings without a stored grammar: each task follows anchors through the rules it makes."""
+    family = family or make_family()
+    patterns = patterns.where("pattern <> ''").select(F.col("pattern_id").cast("long").alias("pattern_id"), "pattern")
+    anchors = settled(_anchors(patterns, family))
+    held = rule_stats.holding(strings, anchors, family).join(patterns, "pattern_id")
+    return _occurrences(strings, patterns, anchors, held)
+
+
+def _occurrences(strings: DataFrame, patterns: DataFrame, anchors: DataFrame, held: DataFrame) -> DataFrame:
+    """(pattern_id, string_id, at) in held(pattern_id, pattern, string_id, text), and of patterns without an anchor in all strings."""
     short = patterns.join(anchors.where("level = 0").select("pattern_id"), "pattern_id", "left_semi")
     both = held.select("pattern_id", "pattern", "string_id", "text")
     if not short.isEmpty():
