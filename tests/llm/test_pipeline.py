@@ -30,3 +30,11 @@ def test_every_operator_has_its_query(spark):
     for name, query in queries.queries().items():
         df = query(spark, SF)
         assert "doc_id" in df.columns and df.count() > 0, name
+
+
+def test_encode_bounds_its_batches(spark):
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    spark.conf.set(name, "10000")
+    docs = spark.range(3).selectExpr("id AS doc_id", "'a b c' AS text")
+    assert corpus_pipeline.encode(spark, docs, SF).count() == 3
+    assert 0 < int(spark.conf.get(name)) <= 1000
