@@ -175,9 +175,16 @@ def _occurrences(strings: DataFrame, patterns: DataFrame, anchors: DataFrame, he
     both = held.select("pattern_id", "pattern", "string_id", "text")
     if not short.isEmpty():
         both = both.unionByName(_holding(strings, short))
-    size = F.length("pattern")
-    places = F.filter(F.sequence(F.lit(1), F.greatest(F.length("text") - size + 1, F.lit(1))), lambda i: F.substr(F.col("text"), i, size) == F.col("pattern"))
-    return both.where(F.instr("text", F.col("pattern")) > 0).select("pattern_id", "string_id", F.explode(places).alias("at"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for x in batches:
+            out: list = []
+            for pid, sid, p, t in zip(x.column(0).to_pylist(), x.column(1).to_pylist(), x.column(2), x.column(3), strict=True):
+                out += ((pid, sid, at + 1) for at in _places(t.as_py(), p.as_py()))
+            columns = zip(*out, strict=True) if out else ([], [], [])
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.int32()), strict=True)], ["pattern_id", "string_id", "at"])
+
+    return both.where(F.instr("text", F.col("pattern")) > 0).select("pattern_id", "string_id", "pattern", "text").mapInArrow(run, "pattern_id long, string_id long, at int")
 
 
 def find_pattern(g: Grammar, strings: DataFrame, pattern: str) -> DataFrame:
