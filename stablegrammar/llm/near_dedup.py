@@ -230,14 +230,29 @@ def _with_partners(placed: DataFrame, percent: int) -> DataFrame:
 
 
 def _lists(placed: DataFrame, by: list[str]) -> DataFrame:
-    """Rows whose key has documents of several components, with the key's number of rows and one of its documents, drawn by hash."""
+    """Rows whose key has documents of several components, with one of the key's documents, drawn by hash, and whether it is too long for pairs."""
     keys = placed.groupBy(*by).agg(F.min("root").alias("_lo"), F.max("root").alias("_hi"), F.count(F.lit(1)).alias("_rows"), F.min_by("rep", F.xxhash64("rep")).alias("_hub"))
-    return settled(placed.join(settled(keys.where("_lo < _hi").select(*by, "_rows", "_hub")), by))
+    return settled(placed.join(settled(keys.where("_lo < _hi").select(*by, (F.col("_rows") > CROWD).alias("_long"), "_hub")), by))
+
+
+def _lists_across(placed: DataFrame, by: list[str]) -> DataFrame:
+    """_lists() by the pairs that are left to compare, those across components: too long is a list with more than CROWD / 2 of them a row."""
+    own = placed.groupBy(*by, "root").agg(F.count(F.lit(1)).alias("_n"), F.min(F.struct(F.xxhash64("rep").alias("h"), "rep")).alias("_first"))
+    keys = own.groupBy(*by).agg(F.count(F.lit(1)).alias("_roots"), F.sum("_n").alias("_rows"), F.sum(F.col("_n") * F.col("_n")).alias("_alike"), F.min("_first")["rep"].alias("_hub"))
+    long = F.col("_rows") * F.col("_rows") - F.col("_alike") > CROWD * F.col("_rows")
+    return settled(placed.join(settled(keys.where("_roots > 1").select(*by, long.alias("_long"), "_hub")), by))
 
 
 def _crowds(lists: DataFrame) -> DataFrame:
     """(g, rep, root): documents of the lists that are too long for pairs. Lists that drew the same document are one crowd."""
-    return settled(lists.where(f"_rows > {CROWD}").select(F.col("_hub").alias("g"), "rep", "root").distinct())
+    return settled(lists.where("_long").groupBy(F.col("_hub").alias("g"), "rep").agg(F.min("root").alias("root")))
+
+
+def _joined_to_stars(delta: DataFrame) -> DataFrame:
+    """delta with one root for all components of a crowd that its star joins."""
+    joined = delta.where("v + least.v <= 0").select("g", "root").distinct().withColumn("_joined", F.lit(True))
+    both = delta.join(settled(joined), ["g", "root"], "left")
+    return settled(both.withColumn("root", F.when(F.col("_joined"), F.col("least.root")).otherwise(F.col("root"))).drop("_joined"))
 
 
 def _apart_from_centre(crowds: DataFrame, docs: DataFrame, percent: int, words: int) -> DataFrame:
@@ -268,16 +283,20 @@ def _linked_in_crowds(crowds: DataFrame, docs: DataFrame, percent: int, words: i
 
     Pairs whose v add up to 0 at most link, and both then link with the document of the least v: these links make a star. All others that
     link share shingles of their deltas, of which near copies have few, so that prefix filtering over deltas tells apart what whole sets
-    don't. Lists of it that are crowded again get centres of their own.
+    don't. What a star joins is one component from then on, so that of near copies only those outside it meet the others. Lists of it that
+    are crowded again get centres of their own.
     """
     out, twice = None, 2 * (100 + percent)
     for turn in range(CENTRE_TURNS):
         delta = _apart_from_centre(crowds, docs, percent, words)
         pairs = delta.where("v + least.v <= 0 and root <> least.root").select(F.least("rep", "least.rep").alias("a"), F.greatest("rep", "least.rep").alias("b"))
-        each = settled(delta.select("g", "rep", "root", "own", "v", "d", F.col("least.v").alias("_v"), F.explode("delta").alias("shingle")))
+        delta = _joined_to_stars(delta)
+        open_ = settled(delta.groupBy("g").agg(F.count_distinct("root").alias("_roots")).where("_roots > 1").select("g"))
+        still = delta.join(open_, "g", "left_semi")
+        each = settled(still.select("g", "rep", "root", "own", "v", "d", F.col("least.v").alias("_v"), F.explode("delta").alias("shingle")))
         ranked = _from_rare(each, ["g"], ["rep", "own"], "d")
-        lists = _lists(ranked.where(f"at <= d - greatest(1, cast(ceil((v + _v) / {twice}) as long)) + 1"), ["g", "shingle"])
-        short = lists if turn == CENTRE_TURNS - 1 else lists.where(f"_rows <= {CROWD}")
+        lists = _lists_across(ranked.where(f"at <= d - greatest(1, cast(ceil((v + _v) / {twice}) as long)) + 1"), ["g", "shingle"])
+        short = lists if turn == CENTRE_TURNS - 1 else lists.where("not _long")
         side = lambda c: short.select("g", "shingle", *(F.col(x).alias(x + c) for x in ("rep", "root", "v", "d", "at")))  # noqa: E731, B023
         apart = "repa < repb and roota <> rootb and va + vb > 0"
         first = f"{twice} * (1 + least(da - ata, db - atb)) >= va + vb"
@@ -303,7 +322,7 @@ def _sharing_prefix(reps: DataFrame, docs: DataFrame, percent: int, words: int)
     """
     prefix = settled(_prefixes(reps, docs, percent, words))
     lists = _lists(_with_partners(settled(prefix.join(reps, "rep")), percent), ["shingle"])
-    short = lists.where(f"_rows <= {CROWD}")
+    short = lists.where("not _long")
     side = lambda c: short.select("shingle", *(F.col(x).alias(x + c) for x in ("rep", "root", "n", "at")))
     apart = "repa < repb and roota <> rootb"
     sizes = f"100 * least(na, nb) >= {percent} * greatest(na, nb)"
