@@ -194,26 +194,50 @@ def find_pattern(g: Grammar, strings: DataFrame, pattern: str) -> DataFrame:
 
 
 def symbol_jaccard(g: Grammar, level: int, least: float = 0.2) -> DataFrame:
-    """(a, b, jaccard), a < b, of strings by their sets of symbols of a level, where it is at least `least`.
+    """(a, b, jaccard), a < b, of strings by their sets of symbols of a level, where it is at least `least`."""
+    from stablegrammar.operators.expand import usage_counts
+
+    sets = usage_counts(g, per_string=True).where(F.col("level") == level)
+    return _similar_sets(settled(sets.groupBy("string_id").agg(F.array_sort(F.collect_set("sym")).alias("own"))), least)
+
+
+def symbol_jaccard_unstored(strings: DataFrame, level: int, least: float = 0.2, family: HashFamily | None = None) -> DataFrame:
+    """The rows of symbol_jaccard without a stored grammar: each task gives the sets of the strings that it parses."""
+    sets = settled(rule_stats.symbol_sets(strings, level, family))
+    twice = settled(sets.groupBy("string_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("string_id"))
+    if twice.isEmpty():
+        return _similar_sets(sets, least)
+    merged = sets.join(twice, "string_id", "left_semi").groupBy("string_id").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("own")))).alias("own"))
+    return _similar_sets(settled(sets.join(twice, "string_id", "left_anti").unionByName(merged)), least)
+
+
+def _similar_sets(sets: DataFrame, least: float) -> DataFrame:
+    """symbol_jaccard() of sets(string_id, own), a table of one sorted set for each string.
 
     Strings with equal sets are one class: pairs are of classes, named by their smallest string, and of a class's smallest string with each
     other one of it (jaccard 1). Classes meet by exact prefix filtering: with symbols ordered from rare to frequent, similar sets share
-    one of their first n - ceil(least * n) + 1, so no pair is left out, however frequent its symbols.
+    one of their first n - ceil(least * n) + 1, and what follows the first shared one leaves room for the overlap, so no pair is left out,
+    however frequent its symbols. Sets are classed by digest. Symbols meet as hashes, of which two may
+    be equal: that brings pairs together that share less, and the whole sets decide. What only one class has goes first, and no further.
     """
-    from stablegrammar.operators.expand import usage_counts
-
-    sets = settled(usage_counts(g, per_string=True).where(F.col("level") == level).select("string_id", "sym"))
-    classes = sets.groupBy("string_id").agg(F.array_sort(F.collect_set("sym")).alias("own")).groupBy("own").agg(F.min("string_id").alias("rep"), F.collect_list("string_id").alias("all"))
-    classes = settled(classes)
-    each = classes.select("rep", F.size("own").alias("n"), F.explode("own").alias("sym"))
-    ranked = each.join(each.groupBy("sym").agg(F.count(F.lit(1)).alias("df")), "sym").withColumn("at", F.row_number().over(Window.partitionBy("rep").orderBy("df", "sym")))
-    prefix = settled(ranked.where((F.col("df") > 1) & (F.col("at") <= F.col("n") - F.ceil(F.col("n") * least) + 1)).select("rep", "n", "sym"))
-    side = lambda c: prefix.select("sym", F.col("rep").alias(c), F.col("n").alias(f"n{c}"))
-    pairs = settled(side("a").join(side("b"), "sym").where((F.col("a") < F.col("b")) & (F.least("na", "nb") >= least * F.greatest("na", "nb"))).select("a", "b").distinct())
+    binary = "binary" in dict(sets.dtypes)["own"]
+    digest = F.sha2(F.array_join(F.transform("own", lambda x: F.hex(x) if binary else x), ",").cast("binary"), 256)
+    groups = settled(sets.groupBy(digest.alias("_d")).agg(F.min("string_id").alias("rep"), F.collect_list("string_id").alias("all")).drop("_d"))
+    classes = settled(sets.join(groups.select(F.col("rep").alias("string_id")), "string_id", "left_semi").select(F.col("string_id").alias("rep"), "own"))
+    each = classes.select("rep", F.size("own").alias("n"), F.explode(F.transform("own", lambda x: F.xxhash64(x))).alias("sym"))
+    common = settled(each.groupBy("sym").agg(F.count(F.lit(1)).alias("df")).where("df > 1"))
+    met = each.join(common, "sym")
+    alone = F.col("n") - F.count(F.lit(1)).over(Window.partitionBy("rep"))
+    ranked = met.withColumn("at", F.row_number().over(Window.partitionBy("rep").orderBy("df", "sym")) + alone)
+    prefix = settled(ranked.where(F.col("at") <= F.col("n") - F.ceil(F.col("n") * least) + 1).select("rep", "n", "sym", "at"))
+    side = lambda c: prefix.select("sym", F.col("rep").alias(c), F.col("n").alias(f"n{c}"), F.col("at").alias(f"at{c}"))
+    sizes = F.least("na", "nb") >= least * F.greatest("na", "nb")
+    room = (1 + least) * (1 + F.least(F.col("na") - F.col("ata"), F.col("nb") - F.col("atb"))) >= (least - 1e-6) * (F.col("na") + F.col("nb"))
+    pairs = settled(side("a").join(side("b"), "sym").where((F.col("a") < F.col("b")) & sizes & room).select("a", "b").distinct())
     own = lambda c: classes.select(F.col("rep").alias(c), F.col("own").alias(f"s{c}"))
     sized = pairs.join(own("a"), "a").join(own("b"), "b").select("a", "b", F.size(F.array_intersect("sa", "sb")).alias("_both"), (F.size("sa") + F.size("sb")).alias("_all"))
     jaccard = sized.select("a", "b", F.round(F.col("_both") / (F.col("_all") - F.col("_both")), 6).alias("jaccard")).where(F.col("jaccard") >= least)
-    members = classes.select(F.col("rep").alias("a"), F.explode("all").alias("b")).where("a < b").select("a", "b", F.lit(1.0).alias("jaccard"))
+    members = groups.select(F.col("rep").alias("a"), F.explode("all").alias("b")).where("a < b").select("a", "b", F.lit(1.0).alias("jaccard"))
     return jaccard.unionByName(members)
 
 
