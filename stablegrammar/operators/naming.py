@@ -20,7 +20,11 @@ def distributed_rank(df: DataFrame, group: str, order: list[str], name: str = "r
 
 
 def to_dense(g: Grammar) -> Grammar:
-    """Dense long ids: terminals 1..sigma by code, then level after level by content name."""
+    """Dense long ids: terminals 1..sigma by code, then level after level by content name. A packed grammar's aren't stored, but made when read."""
+    if g.packed is not None:
+        from stablegrammar.operators.packed import dense_packed
+
+        return dense_packed(g)
     binary = dict(g.rules.dtypes)["sym"] == "binary"
     text = lambda c: F.hex(c) if binary else c
     alphabet = g.alphabet().select(F.lit(0).alias("level"), F.col("sym"))
